@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
-from textfactor.llm import chat
+from textfactor.llm import chat, secrets
 
-_MODULES = [chat]
+_MODULES = [chat, secrets]
 
 
 def queries() -> dict:
