@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
-from textfactor.llm import chat, secrets
+from textfactor.llm import chat, secrets, sharding
 
-_MODULES = [chat, secrets]
+_MODULES = [chat, secrets, sharding]
 
 
 def queries() -> dict:
