@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
-from textfactor.llm import bpe, chat, secrets, sharding
+from textfactor.llm import bpe, chat, quality, secrets, sharding
 
-_MODULES = [chat, secrets, sharding, bpe]
+_MODULES = [chat, secrets, sharding, bpe, quality]
 
 
 def queries() -> dict:
