@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
-from textfactor.llm import bpe, chat, quality, secrets, sharding
+from textfactor.llm import bpe, chat, linededup, quality, secrets, sharding
 
-_MODULES = [chat, secrets, sharding, bpe, quality]
+_MODULES = [chat, secrets, sharding, bpe, quality, linededup]
 
 
 def queries() -> dict:
