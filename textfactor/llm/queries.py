@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
-from textfactor.llm import bpe, chat, linededup, quality, secrets, sharding
+from textfactor.llm import bpe, chat, hmm, linededup, quality, secrets, sharding
 
-_MODULES = [chat, secrets, sharding, bpe, quality, linededup]
+_MODULES = [chat, secrets, sharding, bpe, quality, linededup, hmm]
 
 
 def queries() -> dict:
