@@ -26,7 +26,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from textfactor.llm.scratch import Scratch
-from textfactor.llm.textscan import Words
+from textfactor.llm.textscan import Words, pieces
 
 STATES = 8
 CLASSES = 1024  # class 0 is the end of a text
@@ -46,7 +46,7 @@ def _word_counts(texts: DataFrame) -> DataFrame:
     """(h, cls, n) of the training texts, not yet added up."""
 
     def run(batches):
-        for b in batches:
+        for b in (p for batch in batches for p in pieces(batch, 0)):
             w = Words(b.column(0), tail=TAIL)
             h, first, n = np.unique(w.hash, return_index=True, return_counts=True)
             cls = _classes(w)[first]
@@ -66,7 +66,7 @@ def _class_sequences(texts: DataFrame) -> DataFrame:
     """Class sequences of whole texts, each with its end, as little-endian 16-bit numbers."""
 
     def run(batches):
-        for b in batches:
+        for b in (p for batch in batches for p in pieces(batch, 0)):
             w = Words(b.column(0), tail=TAIL)
             cls, first = _classes(w), w.first.tolist()
             end = np.zeros(1, np.uint16).tobytes()
@@ -180,8 +180,8 @@ def baum_welch(seqs: DataFrame, class_counts: np.ndarray, rounds: int = ROUNDS,
             total = np.zeros(size)
             for b in batches:
                 found = (np.frombuffer(x.as_buffer(), np.uint16) for x in b.column(0))
-                for pieces, opens in _blocks(found):
-                    model.expected(pieces, opens, total)
+                for block, opens in _blocks(found):
+                    model.expected(block, opens, total)
             at = np.flatnonzero(total)
             yield pa.RecordBatch.from_arrays([pa.array(at), pa.array(total[at])], ["i", "v"])
 
@@ -226,8 +226,7 @@ def score_texts(docs: DataFrame, train_where, id_col: str = "doc_id", text_col:
         keys, logs, model = sent.value
         part, seen = TaskContext.get().partitionId(), 0
         for batch in batches:
-            for at in range(0, batch.num_rows, 2000):
-                b = batch.slice(at, 2000)
+            for b in pieces(batch, 1, 12 << 20):
                 w = Words(b.column("text"), tail=TAIL)
                 m, first = b.num_rows, w.first
                 cls = np.insert(_classes(w), first[1:], 0)

@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from textfactor.llm.textscan import Words, mix, text_bytes
+from textfactor.llm.textscan import Words, pieces, text_bytes
 
 BUCKETS = 1 << 17
 GRAMS = (2, 4)
@@ -161,8 +161,8 @@ def score(docs: DataFrame, model: Model, text_col: str = "text", score_col: str
 
     def run(batches):
         model = Model(sent.value)
-        for batch in batches:
-            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(model.scores(batch.column(at)), pa.float64())], [*names, score_col])
+        for b in (p for batch in batches for p in pieces(batch, at)):
+            yield pa.RecordBatch.from_arrays([*b.columns, pa.array(model.scores(b.column(at)), pa.float64())], [*names, score_col])
 
     kinds = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema)
     return docs.mapInArrow(run, f"{kinds}, `{score_col}` double")

@@ -69,6 +69,16 @@ def text_bytes(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     return data, off - off[0]
 
 
+def pieces(batch: pa.RecordBatch, column: int, limit: int = 6 << 20):
+    """The batch in slices of whole rows whose texts have about ``limit`` bytes, or one row."""
+    sizes = pc.fill_null(pc.binary_length(batch.column(column)), 0).to_numpy(zero_copy_only=False)
+    part = np.cumsum(sizes, dtype=np.int64) // limit
+    cuts = [0, *(np.flatnonzero(np.diff(part)) + 1).tolist(), batch.num_rows]
+    for a, b in zip(cuts[:-1], cuts[1:]):
+        if b > a:
+            yield batch.slice(a, b - a)
+
+
 def _blocks(data: np.ndarray, off: np.ndarray, space: np.ndarray):
     """Cuts [a, b) of about BLOCK bytes that lie on white space or on a row's border."""
     a, n = 0, len(data)
