@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
-from textfactor.llm import bpe, chat, decontaminate, hmm, linededup, quality, secrets, sharding
+from textfactor.llm import bpe, chat, decontaminate, hmm, jaccard, linededup, quality, secrets, sharding
 
-_MODULES = [chat, secrets, sharding, bpe, quality, linededup, hmm, decontaminate]
+_MODULES = [chat, secrets, sharding, bpe, quality, linededup, hmm, decontaminate, jaccard]
 
 
 def queries() -> dict:
