@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
-from textfactor.llm import bpe, chat, decontaminate, hmm, jaccard, linededup, quality, secrets, sharding
+from textfactor.llm import bpe, chat, decontaminate, hmm, jaccard, linededup, quality, secrets, sharding, vectors
 
-_MODULES = [chat, secrets, sharding, bpe, quality, linededup, hmm, decontaminate, jaccard]
+_MODULES = [chat, secrets, sharding, bpe, quality, linededup, hmm, decontaminate, jaccard, vectors]
 
 
 def queries() -> dict:
