@@ -67,7 +67,7 @@ def _grams(raw: np.ndarray):
 
 
 def sparse_counts(docs: DataFrame) -> DataFrame:
-    """``id, text, *`` to ``id, label, buckets, counts``."""
+    """``id, label, text`` to ``id, label, buckets, counts``; the last two hold 32-bit integers."""
 
     def run(batches):
         for batch in batches:
@@ -78,14 +78,14 @@ def sparse_counts(docs: DataFrame) -> DataFrame:
                     c += np.bincount(g, minlength=BUCKETS)
                 c[0] = 1
                 at = np.flatnonzero(c)
-                cols[0].append(at.astype(np.int32))
-                cols[1].append(c[at].astype(np.int32))
+                cols[0].append(at.astype(np.int32).tobytes())
+                cols[1].append(c[at].astype(np.int32).tobytes())
             yield pa.RecordBatch.from_arrays(
-                [batch.column("id"), batch.column("label"), *(pa.array(x, pa.list_(pa.int32())) for x in cols)], ["id", "label", "buckets", "counts"]
+                [batch.column("id"), batch.column("label"), *(pa.array(x, pa.binary()) for x in cols)], ["id", "label", "buckets", "counts"]
             )
 
     kind = docs.schema["id"].dataType.simpleString()
-    return docs.select("id", "label", "text").mapInArrow(run, f"id {kind}, label int, buckets array<int>, counts array<int>")
+    return docs.select("id", "label", "text").mapInArrow(run, f"id {kind}, label int, buckets binary, counts binary")
 
 
 class Model:
@@ -148,9 +148,10 @@ def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: st
     texts = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text"))
     # at most `bound` rows of two integers
     sample = texts.join(F.broadcast(known), "id")
-    rows = sparse_counts(sample).collect()
-    rows.sort(key=lambda r: (str(r["id"]), len(r["buckets"]), sum(r["counts"][:50])))
-    return train([(r["label"], np.array(r["buckets"], np.int32), np.array(r["counts"], np.int32)) for r in rows])
+    # packed arrays, one partition at a time: what the driver holds is `bound` sparse vectors
+    rows = [(str(r["id"]), bytes(r["counts"]), bytes(r["buckets"]), r["label"]) for r in sparse_counts(sample).toLocalIterator()]
+    rows.sort(key=lambda r: r[:3])  # the order of partitions doesn't matter
+    return train([(y, np.frombuffer(b, np.int32), np.frombuffer(c, np.int32)) for _, c, b, y in rows])
 
 
 def score(docs: DataFrame, model: Model, text_col: str = "text", score_col: str = "score") -> DataFrame:
