@@ -148,8 +148,8 @@ def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: st
     texts = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text"))
     # at most `bound` rows of two integers
     sample = texts.join(F.broadcast(known), "id")
-    # packed arrays, one partition at a time: what the driver holds is `bound` sparse vectors
-    rows = [(str(r["id"]), bytes(r["counts"]), bytes(r["buckets"]), r["label"]) for r in sparse_counts(sample).toLocalIterator()]
+    # what the driver holds is `bound` sparse vectors, as packed bytes
+    rows = [(str(r["id"]), bytes(r["counts"]), bytes(r["buckets"]), r["label"]) for r in sparse_counts(sample).collect()]
     rows.sort(key=lambda r: r[:3])  # the order of partitions doesn't matter
     return train([(y, np.frombuffer(b, np.int32), np.frombuffer(c, np.int32)) for _, c, b, y in rows])
 
