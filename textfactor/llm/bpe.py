@@ -20,6 +20,7 @@ import hashlib
 import json
 import os
 import re
+from array import array
 from functools import lru_cache
 
 import numpy as np
@@ -27,11 +28,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from textfactor.llm.scratch import bounded_batches
 from textfactor.llm.textscan import mix
 
 MASK_BITS = 10
 WINDOW = 24
-STORE_BYTES = 48 << 20
+STORE_BYTES = 16 << 20
 #: Fixed value: how the byte-level vocabularies split a text into pre-tokens.
 PRETOKENS = r"""'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"""
 _SAFE = re.compile(rb"[!-~](?=[ \n])")
@@ -133,7 +135,8 @@ class ChunkEncoder:
                     got = (ids, None, None, None, None)
                 else:
                     got = (ids, k, p, m, q)
-            cost = len(data) + 8 * len(ids) + 300
+            got = (array("i", ids), *got[1:])
+            cost = len(data) + 4 * len(ids) + 400
             if self.kept + cost > self.limit:
                 self.store.clear()
                 self.kept = 0
@@ -175,6 +178,7 @@ def encoder(vocab: str, ranks: str) -> ChunkEncoder:
 
 def encode_texts(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", vocab: str | None = None, ranks: str | None = None, with_ids: bool = True) -> DataFrame:
     """``id, n_tokens, ids_sha256, decoded_sha256`` and, if asked for, ``token_ids``."""
+    bounded_batches(docs.sparkSession)
     if vocab is None or ranks is None:
         vocab, ranks = _vocab_paths()
     kind = docs.schema[id_col].dataType.simpleString()

@@ -25,6 +25,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from textfactor.llm.scratch import bounded_batches
 from textfactor.llm.textscan import Words, pieces, shingles
 
 K = 5
@@ -150,6 +151,7 @@ def _item_blocks(items: DataFrame, item_col: str, item_text: str):
 
 def find_items(docs: DataFrame, items: DataFrame, id_col: str = "doc_id", text_col: str = "text", item_col: str = "item_id", item_text: str = "text") -> DataFrame:
     """``id, item_id, similarity, start_byte, end_byte``: the best window of every (document, item) pair that reaches the threshold."""
+    bounded_batches(docs.sparkSession)
     spark = docs.sparkSession
     kind, item_kind = docs.schema[id_col].dataType.simpleString(), items.schema[item_col].dataType
     schema = f"id {kind}, item {item_kind.simpleString()}, similarity double, start_byte long, end_byte long"

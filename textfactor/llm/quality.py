@@ -22,6 +22,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from textfactor.llm.scratch import bounded_batches
 from textfactor.llm.textscan import Words, pieces, text_bytes
 
 BUCKETS = 1 << 17
@@ -137,6 +138,7 @@ def train(rows: list[tuple[int, np.ndarray, np.ndarray]], epochs: int = 8, rate:
 
 def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", label_col: str = "quality", folds: int = 5, bound: int = BOUND) -> Model:
     """Learn from labelled documents whose id is not in fold 0; at most ``bound`` of them."""
+    bounded_batches(docs.sparkSession)
     known = (
         labels.select(F.col(id_col).alias("id"), F.col(label_col).cast("int").alias("label"))
         .where(F.col("label").isNotNull() & (fold_of("id", folds) != 0))
@@ -156,6 +158,7 @@ def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: st
 
 def score(docs: DataFrame, model: Model, text_col: str = "text", score_col: str = "score") -> DataFrame:
     """All columns of ``docs`` and the score."""
+    bounded_batches(docs.sparkSession)
     spark, names = docs.sparkSession, docs.columns
     sent = spark.sparkContext.broadcast(model.weight)  # BUCKETS numbers
     at = names.index(text_col)

@@ -20,6 +20,17 @@ def shared_root(spark: SparkSession) -> str:
     raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
 
 
+def bounded_batches(spark: SparkSession, limit: int = 8 << 20) -> None:
+    """Let Arrow batches hold at most ``limit`` bytes or one row: with several Python workers on an executor, larger ones fill
+    its memory. A smaller setting of the session stays."""
+    key = "spark.sql.execution.arrow.maxBytesPerBatch"
+    now = spark.conf.get(key, "256m")
+    digits = "".join(c for c in now if c.isdigit())
+    scale = {"k": 10, "m": 20, "g": 30}.get(now.lstrip("-0123456789")[:1].lower(), 0)
+    if not digits or now.startswith("-") or int(digits) << scale > limit:
+        spark.conf.set(key, f"{limit}b")
+
+
 class Scratch:
     """Tables of one operator call.
 
@@ -32,6 +43,7 @@ class Scratch:
         self.spark = spark
         self.root = f"{shared_root(spark)}/textfactor-llm/{name}-{uuid.uuid4().hex}"
         self.n = 0
+        bounded_batches(spark)
         atexit.register(self._remove, self.root)
 
     def save(self, df: DataFrame, name: str, partition_by: str | None = None) -> DataFrame:

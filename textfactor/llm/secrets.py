@@ -17,6 +17,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from textfactor.llm.scratch import bounded_batches
 from textfactor.llm.automaton import LazyDfa, Nfa, combined
 
 
@@ -131,6 +132,7 @@ _SPAN = pa.struct([("kind", pa.string()), ("start", pa.int64()), ("end", pa.int6
 
 def scan_secrets(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", rules: tuple[Rule, ...] = BASE_RULES + MORE_RULES) -> DataFrame:
     """One row per document: the id and ``spans``, an array of (kind, start, end) by start and rule order."""
+    bounded_batches(docs.sparkSession)
     scanner(rules)  # a bad rule fails here, not on an executor
     kind = docs.schema[id_col].dataType.simpleString()
 
