@@ -340,13 +340,17 @@ def link_documents(docs: DataFrame, rule: Rule = Rule(), id_col: str = "doc_id",
     """``row, id, n_shingles, component_id`` for every row: the smallest id reachable by links."""
     scratch = Scratch(docs.sparkSession, "jaccard")
     rows = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text"))
-    sets = scratch.save(describe(rows, rule), "sets")
-    keyed = sets.where(F.col("keys").isNotNull()).select(F.explode("keys").alias("key"), "node")
-    shared = scratch.save(_shared_keys(keyed), "shared")
+    keyed = scratch.save(describe(rows, rule), "keyed")
+    sets = scratch.save(keyed.drop("keys"), "sets")
+    shared = scratch.save(_shared_keys(keyed.where(F.col("keys").isNotNull()).select(F.explode("keys").alias("key"), "node")), "shared")
+    scratch.drop(keyed)
+    scratch.sweep()
     nodes = shared.select("node").distinct()
     full = scratch.save(_sets_of(rows, nodes, rule), "full")
+    scratch.sweep()
     pairs = shared.where("node <> head").select("head", "node").distinct()
     links = scratch.save(_verify_stars(pairs, full, rule).select(F.col("head").alias("u"), F.col("node").alias("v")), "links")
+    scratch.sweep()
     roots = scratch.save(connected_components(links, scratch), "roots")
 
     known = shared.join(roots, "node", "left").select("key", "node", F.coalesce("root", "node").alias("root"))

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import atexit
+import gc
 import tempfile
 import uuid
 
@@ -58,6 +59,12 @@ class Scratch:
     def drop(self, df: DataFrame) -> None:
         self._remove(df._scratch_path)
 
+    def sweep(self) -> None:
+        """Let Spark's cleaner find the shuffles of finished steps now: it deletes their files once the driver's objects for
+        them are collected, which by itself may take spark.cleaner.periodicGC.interval."""
+        gc.collect()
+        self.spark._jvm.System.gc()
+
     def _remove(self, path: str) -> None:
         try:
             jvm = self.spark._jvm
