@@ -168,6 +168,10 @@ def peaks(texts: DataFrame, min_len: int = 2, unit: str = "codepoint") -> DataFr
         at = at[v[at] >= min_len]
         good, top = K.interesting_peaks(at, at + v[at]), np.zeros(len(at), bool)
         top[K.maximal_peaks(at, at + v[at])] = True
+        # of equal neighbours only the first is a peak; the steps, which block others, have both
+        if s.n:
+            peak = (at == first[:-1][s.text[at]]) | (v[at] > v[np.maximum(at, 1) - 1])
+            at, good, top = at[peak], good[peak], top[peak]
         row = s.text[at] if s.n else at
         return row, [at - first[:-1][row] + 1 if len(at) else at, v[at], good, top]
 
