@@ -216,79 +216,67 @@ def _sets_of(rows: DataFrame, nodes: DataFrame, rule: Rule) -> DataFrame:
     return found.groupBy("node").agg(F.any_value("sh").alias("sh"))
 
 
-def _fragment(values: np.ndarray) -> np.ndarray:
-    return (values.view(np.uint64) >> np.uint64(62)).astype(np.int64) * COARSE // 4
-
-
 def _lists(col) -> tuple[np.ndarray, np.ndarray]:
     if isinstance(col, pa.ChunkedArray):
         col = col.combine_chunks()
     return col.flatten().to_numpy(), np.concatenate([[0], np.cumsum(np.diff(col.offsets.to_numpy()))])
 
 
-def _explode_fragments(df: DataFrame, lead: list[str]) -> DataFrame:
-    """``*lead, frag, n, sh`` for each fragment of the coarse cut, empty ones too where the set has others."""
-    names = [*lead, "frag", "n", "sh"]
-    kinds = ", ".join(f"{c} {df.schema[c].dataType.simpleString()}" for c in lead)
+def _one_fragment(full: DataFrame, part: int) -> DataFrame:
+    """``node, n, sh``: the size of every set and its shingles in one of ``COARSE`` ranges of the order, perhaps none."""
 
     def run(batches):
         for b in batches:
             val, off = _lists(b.column("sh"))
-            n = np.diff(off)
-            order = val.view(np.uint64)
-            row = np.repeat(np.arange(b.num_rows), n)
-            frag = _fragment(val)
-            # sorted by hash within a row, so fragments of a row are runs
-            size = np.bincount(row * COARSE + frag, minlength=b.num_rows * COARSE)
-            cuts = np.concatenate([[0], np.cumsum(size)]).astype(np.int32)
-            rep = pa.array(np.repeat(np.arange(b.num_rows), COARSE))
+            row = np.repeat(np.arange(b.num_rows), np.diff(off))
+            mine = ((val.view(np.uint64) >> np.uint64(32)) * np.uint64(COARSE) >> np.uint64(32)) == part
+            cuts = np.concatenate([[0], np.cumsum(np.bincount(row[mine], minlength=b.num_rows))]).astype(np.int32)
             yield pa.RecordBatch.from_arrays(
-                [
-                    *(b.column(c).take(rep) for c in lead),
-                    pa.array(np.tile(np.arange(COARSE, dtype=np.int32), b.num_rows)),
-                    pa.array(np.repeat(n, COARSE)),
-                    pa.ListArray.from_arrays(pa.array(cuts), pa.array(order.view(np.int64))),
-                ],
-                names,
+                [b.column("node"), pa.array(np.diff(off)), pa.ListArray.from_arrays(pa.array(cuts), pa.array(val[mine]))], ["node", "n", "sh"]
             )
 
-    return df.select(*lead, "sh").mapInArrow(run, f"{kinds}, frag int, n long, sh array<long>")
+    return full.select("node", "sh").mapInArrow(run, "node long, n long, sh array<long>")
 
 
-def _verify_stars(pairs: DataFrame, full: DataFrame, rule: Rule) -> DataFrame:
-    """The (head, node) pairs that link: partial overlaps per fragment, summed per pair."""
-    stars = pairs.groupBy("head").agg(F.count("*").alias("size"))
-    salted = pairs.join(stars, "head").select("head", "node", F.pmod(F.xxhash64("node"), F.ceil(F.col("size") / BLOCK)).alias("salt"))
-    members = salted.join(full, "node").select("head", "salt", "node", "sh")
-    heads = salted.select("head", "salt").distinct().join(full.withColumnRenamed("node", "head"), "head").select("head", "salt", F.lit(None).cast("long").alias("node"), "sh")
-    rows = _explode_fragments(heads.unionByName(members), ["head", "salt", "node"])
-    rows = rows.repartition("head", "salt", "frag").sortWithinPartitions("head", "salt", "frag", F.col("node").asc_nulls_first())
+def _partial_overlaps(places: DataFrame, part: DataFrame) -> DataFrame:
+    """``head, node, both, sizes`` within one fragment; ``places``: the group that each node goes to, its head included."""
+    rows = places.join(part, "node").repartition("head", "salt").sortWithinPartitions("head", "salt", F.col("node") != F.col("head"))
 
     def run(batches):
-        mine, n_mine = None, 0
+        mine, n_mine = np.zeros(0, np.uint64), 0
         for b in batches:
             val, off = _lists(b.column("sh"))
-            node, head, n = b.column("node"), b.column("head").to_numpy(), b.column("n").to_numpy()
-            is_head = np.asarray(node.is_null())
-            ids = node.fill_null(0).to_numpy()
+            node, head, n = (b.column(c).to_numpy() for c in ("node", "head", "n"))
             out = []
             for i in range(b.num_rows):
                 s = val[off[i] : off[i + 1]].view(np.uint64)
-                if is_head[i]:
+                if node[i] == head[i]:
                     mine, n_mine = s, n[i]
-                else:
-                    if len(mine) and len(s):
-                        pos = np.searchsorted(mine, s)
-                        pos[pos == len(mine)] = 0
-                        both = int((mine[pos] == s).sum())
-                    else:
-                        both = 0
-                    out.append((head[i], ids[i], both, n_mine + n[i]))
+                    continue
+                both = 0
+                if len(mine) and len(s):
+                    pos = np.searchsorted(mine, s)
+                    pos[pos == len(mine)] = 0
+                    both = int((mine[pos] == s).sum())
+                out.append((head[i], node[i], both, n_mine + n[i]))
             cols = np.array(out, np.int64).reshape(-1, 4)
             yield pa.RecordBatch.from_arrays([pa.array(cols[:, j].copy()) for j in range(4)], ["head", "node", "both", "sizes"])
 
-    part = rows.mapInArrow(run, "head long, node long, both long, sizes long")
-    total = part.groupBy("head", "node").agg(F.sum("both").alias("both"), F.max("sizes").alias("sizes"))
+    return rows.select("head", "salt", "node", "n", "sh").mapInArrow(run, "head long, node long, both long, sizes long")
+
+
+def _verify_stars(pairs: DataFrame, full: DataFrame, rule: Rule, scratch: Scratch) -> DataFrame:
+    """The (head, node) pairs that link. The overlaps are counted one fragment after the other, which bounds what is shuffled
+    at once, and summed per pair. Heads with many members are split by a salt."""
+    stars = pairs.groupBy("head").agg(F.count("*").alias("size"))
+    salted = pairs.join(stars, "head").select("head", "node", F.pmod(F.xxhash64("node"), F.ceil(F.col("size") / BLOCK)).alias("salt"))
+    places = scratch.save(salted.unionByName(salted.select("head", F.col("head").alias("node"), "salt").distinct()), "places")
+    counted = None
+    for k in range(COARSE):
+        part = scratch.save(_partial_overlaps(places, _one_fragment(full, k)), "overlaps")
+        counted = part if counted is None else counted.unionByName(part)
+        scratch.sweep()
+    total = counted.groupBy("head", "node").agg(F.sum("both").alias("both"), F.max("sizes").alias("sizes"))
     return total.where(F.col("both") * rule.den >= (F.col("sizes") - F.col("both")) * rule.num).select("head", "node")
 
 
@@ -349,7 +337,7 @@ def link_documents(docs: DataFrame, rule: Rule = Rule(), id_col: str = "doc_id",
     full = scratch.save(_sets_of(rows, nodes, rule), "full")
     scratch.sweep()
     pairs = shared.where("node <> head").select("head", "node").distinct()
-    links = scratch.save(_verify_stars(pairs, full, rule).select(F.col("head").alias("u"), F.col("node").alias("v")), "links")
+    links = scratch.save(_verify_stars(pairs, full, rule, scratch).select(F.col("head").alias("u"), F.col("node").alias("v")), "links")
     scratch.sweep()
     roots = scratch.save(connected_components(links, scratch), "roots")
 
