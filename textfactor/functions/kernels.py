@@ -432,22 +432,22 @@ def window_parse(t: np.ndarray, window: int, min_len: int, depth: int = 64) -> l
     return out
 
 
-def end_aligned_parse(t: np.ndarray, min_len: int) -> list[tuple[int, int, int]]:
-    """Unidirectional phrases whose source ends where an earlier phrase ends; the longest one, then the first."""
-    data = t.astype(np.int32).tobytes()
-    n, i, out, ends = len(t), 0, [], []
+def end_aligned_parse(t: np.ndarray, min_len: int, longest: int = 128) -> list[tuple[int, int, int]]:
+    """Unidirectional phrases of at most ``longest`` symbols whose source ends where an earlier phrase ends; the longest one,
+    then the first. A table holds all strings that end at a phrase's end."""
+    data = t.astype(np.uint32).tobytes()
+    n, i, out, seen = len(t), 0, [], {}
     while i < n:
-        best, src = 0, -1
-        for e in ends:
-            top = min(e, n - i)
-            for k in range(top, max(best, min_len - 1), -1):
-                if data[4 * (e - k) : 4 * e] == data[4 * i : 4 * (i + k)]:
-                    best, src = k, e - k
-                    break
-        size = max(1, best)
+        size, src = 1, -1
+        for k in range(min(longest, i, n - i), min_len - 1, -1):
+            at = seen.get(data[4 * i : 4 * (i + k)])
+            if at is not None:
+                size, src = k, at
+                break
         out.append((i, src, size))
         i += size
-        ends.append(i)
+        for k in range(min_len, min(longest, i) + 1):
+            seen.setdefault(data[4 * (i - k) : 4 * i], i - k)
     return out
 
 
