@@ -9,8 +9,9 @@ larger partners. Equal fragments must not be empty: where a set has too few non-
 part under further orders, and at last with each of its shingles, so no pair is lost.
 
 *Verification.* Every group of equal fragments is first compared with its smallest member: the overlaps of a pair are
-counted in each fragment of a coarser cut separately and summed per pair. Groups that this does not make one component
-are then compared completely, in pairs of blocks of bounded size, again fragment by fragment.
+counted in each fragment of a coarser cut separately and summed per pair. Of groups that this does not make one component
+the other pairs of different components are compared alike; large groups of this kind are compared completely, in pairs of
+blocks of bounded size, again fragment by fragment.
 
 Equal sets are one node from the start, so copies are never expanded into pairs. A node is the 64-bit hash of its set
 (about n**2 / 2**65 pairs of n different sets collide).
@@ -37,7 +38,8 @@ from textfactor.llm.textscan import Words, distinct_by_row, mix, pieces, shingle
 
 BAND = 1.35
 ORDERS = 8
-COARSE = 4
+COARSE = 8
+SMALL = 64
 BLOCK = 512
 FILTER_BITS = 1 << 25
 
@@ -239,7 +241,10 @@ def _one_fragment(full: DataFrame, part: int) -> DataFrame:
 
 
 def _partial_overlaps(places: DataFrame, part: DataFrame) -> DataFrame:
-    """``head, node, both, sizes`` within one fragment; ``places``: the group that each node goes to, its head included."""
+    """``head, node, both, seen_h, seen_n, n_h, n_n`` within one fragment: overlap, sizes there, and sizes of the whole sets.
+
+    ``places``: the group (head, salt) that each node goes to, its head included.
+    """
     rows = places.join(part, "node").repartition("head", "salt").sortWithinPartitions("head", "salt", F.col("node") != F.col("head"))
 
     def run(batches):
@@ -258,26 +263,64 @@ def _partial_overlaps(places: DataFrame, part: DataFrame) -> DataFrame:
                     pos = np.searchsorted(mine, s)
                     pos[pos == len(mine)] = 0
                     both = int((mine[pos] == s).sum())
-                out.append((head[i], node[i], both, n_mine + n[i]))
-            cols = np.array(out, np.int64).reshape(-1, 4)
-            yield pa.RecordBatch.from_arrays([pa.array(cols[:, j].copy()) for j in range(4)], ["head", "node", "both", "sizes"])
+                out.append((head[i], node[i], both, len(mine), len(s), n_mine, n[i]))
+            cols = np.array(out, np.int64).reshape(-1, 7)
+            yield pa.RecordBatch.from_arrays([pa.array(cols[:, j].copy()) for j in range(7)], _COUNTS)
+
+    return rows.select("head", "salt", "node", "n", "sh").mapInArrow(run, ", ".join(f"{c} long" for c in _COUNTS))
 
-    return rows.select("head", "salt", "node", "n", "sh").mapInArrow(run, "head long, node long, both long, sizes long")
+
+_COUNTS = ["head", "node", "both", "seen_h", "seen_n", "n_h", "n_n"]
 
 
 def _verify_stars(pairs: DataFrame, full: DataFrame, rule: Rule, scratch: Scratch) -> DataFrame:
-    """The (head, node) pairs that link. The overlaps are counted one fragment after the other, which bounds what is shuffled
-    at once, and summed per pair. Heads with many members are split by a salt."""
-    stars = pairs.groupBy("head").agg(F.count("*").alias("size"))
-    salted = pairs.join(stars, "head").select("head", "node", F.pmod(F.xxhash64("node"), F.ceil(F.col("size") / BLOCK)).alias("salt"))
-    places = scratch.save(salted.unionByName(salted.select("head", F.col("head").alias("node"), "salt").distinct()), "places")
-    counted = None
+    """The (head, node) pairs that link.
+
+    Overlaps are counted one fragment after the other, which bounds what is shuffled at once, and summed per pair. A pair
+    leaves as soon as even equal rests could not lift it to the threshold. Heads with many members are split by a salt.
+    """
+    alive = scratch.save(pairs.select("head", "node", *(F.lit(0).cast("long").alias(c) for c in _COUNTS[2:])), "pairs")
     for k in range(COARSE):
-        part = scratch.save(_partial_overlaps(places, _one_fragment(full, k)), "overlaps")
-        counted = part if counted is None else counted.unionByName(part)
+        stars = alive.groupBy("head").agg(F.count("*").alias("size"))
+        salted = alive.join(stars, "head").select("head", "node", F.pmod(F.xxhash64("node"), F.ceil(F.col("size") / BLOCK)).alias("salt"))
+        places = scratch.save(salted.unionByName(salted.select("head", F.col("head").alias("node"), "salt").distinct()), "places")
+        part = _partial_overlaps(places, _one_fragment(full, k))
+        new = alive.unionByName(part).groupBy("head", "node").agg(
+            *(F.sum(c).alias(c) for c in ("both", "seen_h", "seen_n")), *(F.max(c).alias(c) for c in ("n_h", "n_n"))
+        )
+        most = F.col("both") + F.least(F.col("n_h") - F.col("seen_h"), F.col("n_n") - F.col("seen_n"))
+        new = scratch.save(new.where(most * rule.den >= (F.col("n_h") + F.col("n_n") - most) * rule.num), "pairs")
+        scratch.drop(alive)
+        scratch.drop(places)
         scratch.sweep()
-    total = counted.groupBy("head", "node").agg(F.sum("both").alias("both"), F.max("sizes").alias("sizes"))
-    return total.where(F.col("both") * rule.den >= (F.col("sizes") - F.col("both")) * rule.num).select("head", "node")
+        alive = new
+    return alive.select("head", "node")
+
+
+def _open_pairs(members: DataFrame) -> DataFrame:
+    """``head, node``: the pairs of different roots that share a key, without those of the key's head, which was compared.
+
+    ``members(key, node, root)``: at most ``SMALL`` rows for each key.
+    """
+    grouped = members.groupBy("key").agg(F.array_sort(F.collect_list(F.struct("node", "root"))).alias("m"))
+
+    def run(batches):
+        for b in batches:
+            col = b.column(0)
+            flat, off = col.flatten(), col.offsets.to_numpy()
+            node, root = flat.field(0).to_numpy(), flat.field(1).to_numpy()
+            found = [np.zeros((0, 2), np.int64)]
+            for u, v in zip((off[:-1] - off[0] + 1).tolist(), (off[1:] - off[0]).tolist()):
+                i, j = np.triu_indices(v - u, 1)
+                apart = root[u:v][i] != root[u:v][j]
+                found.append(np.column_stack([node[u:v][i[apart]], node[u:v][j[apart]]]))
+            pairs = np.concatenate(found)
+            pairs = pairs[np.lexsort((pairs[:, 1], pairs[:, 0]))]
+            new = np.ones(len(pairs), bool)
+            new[1:] = (pairs[1:] != pairs[:-1]).any(axis=1)
+            yield pa.RecordBatch.from_arrays([pa.array(pairs[new, 0]), pa.array(pairs[new, 1])], ["head", "node"])
+
+    return grouped.select("m").mapInArrow(run, "head long, node long").distinct()
 
 
 def block_links(sets: list[np.ndarray], rule: Rule, width: int = 4096) -> np.ndarray:
@@ -324,6 +367,33 @@ def _complete(groups: DataFrame, full: DataFrame, rule: Rule) -> DataFrame:
     return placed.join(full, "node").select("g", "i", "j", "root", "sh").groupBy("g", "i", "j").applyInPandas(run, "u long, v long")
 
 
+def _close(shared: DataFrame, roots: DataFrame, full: DataFrame, rule: Rule, scratch: Scratch) -> DataFrame:
+    """Roots after the pairs that share a key, but were not compared and are not linked yet, have been compared too.
+
+    Keys of at most ``SMALL`` members give their pairs. The members of larger ones are compared in blocks.
+    """
+    known = shared.join(roots, "node", "left").select("key", "node", "head", F.coalesce("root", "node").alias("root"))
+    # two members are always compared
+    open_keys = known.groupBy("key").agg(F.count("*").alias("n"), F.min("root").alias("a"), F.max("root").alias("b")).where("n > 2 and a <> b")
+    left = scratch.save(known.join(open_keys.select("key", "n"), "key"), "left")
+    links = []
+    small, large = left.where(F.col("n") <= SMALL), left.where(F.col("n") > SMALL)
+    if small.limit(1).count():
+        pairs = scratch.save(_open_pairs(small.select("key", "node", "root")), "open")
+        scratch.sweep()
+        links.append(_verify_stars(pairs, full, rule, scratch).select(F.col("head").alias("u"), F.col("node").alias("v")))
+    if large.limit(1).count():
+        groups = connected_components(large.select(F.col("head").alias("u"), F.col("node").alias("v")), scratch)
+        groups = groups.withColumnRenamed("root", "g").join(roots, "node", "left").select("g", "node", F.coalesce("root", "node").alias("root"))
+        links.append(scratch.save(_complete(scratch.save(groups, "groups"), full, rule), "blocks"))
+    if not links:
+        return roots
+    more = roots.select(F.col("node").alias("u"), F.col("root").alias("v"))
+    for x in links:
+        more = more.unionByName(x)
+    return scratch.save(connected_components(scratch.save(more, "links"), scratch), "roots")
+
+
 def link_documents(docs: DataFrame, rule: Rule = Rule(), id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """``row, id, n_shingles, component_id`` for every row: the smallest id reachable by links."""
     scratch = Scratch(docs.sparkSession, "jaccard")
@@ -341,16 +411,7 @@ def link_documents(docs: DataFrame, rule: Rule = Rule(), id_col: str = "doc_id",
     scratch.sweep()
     roots = scratch.save(connected_components(links, scratch), "roots")
 
-    known = shared.join(roots, "node", "left").select("key", "node", F.coalesce("root", "node").alias("root"))
-    # keys whose members all met their head and one another; two members are always compared
-    open_keys = known.groupBy("key").agg(F.count("*").alias("n"), F.min("root").alias("a"), F.max("root").alias("b")).where("n > 2 and a <> b").select("key")
-    left = scratch.save(shared.join(open_keys, "key", "left_semi"), "left")
-    if left.limit(1).count():
-        groups = connected_components(left.select(F.col("head").alias("u"), F.col("node").alias("v")), scratch)
-        groups = groups.withColumnRenamed("root", "g").join(roots, "node", "left").select("g", "node", F.coalesce("root", "node").alias("root"))
-        more = _complete(scratch.save(groups, "groups"), full, rule)
-        links = scratch.save(more.unionByName(roots.select(F.col("node").alias("u"), F.col("root").alias("v"))), "links")
-        roots = scratch.save(connected_components(links, scratch), "roots")
+    roots = _close(shared, roots, full, rule, scratch)
     own = sets.where(F.col("node").isNotNull()).groupBy("node").agg(F.min("id").alias("least"))
     own = own.join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
     best = own.groupBy("root").agg(F.min("least").alias("component_id"))
