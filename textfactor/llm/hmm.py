@@ -211,7 +211,7 @@ def score_texts(docs: DataFrame, train_where, id_col: str = "doc_id", text_col:
 
     # the lowest power of two such that the words at least so frequent fit the bound
     level = F.floor(F.log2("n")).cast("int")
-    least, fits = 63, 0
+    least, fits = 62, 0
     for r in vocab.groupBy(level.alias("b")).agg(F.count("*").alias("v")).orderBy(F.desc("b")).collect():
         if fits + r["v"] > head:
             break

@@ -75,6 +75,7 @@ class RunStore:
         self.spark, self.scratch, self.fanout = spark, scratch, fanout
         self.levels: list[list[DataFrame]] = []
         self.ledger: list[DataFrame] = []
+        self.merged: list[DataFrame] = []
 
     def _union(self, parts: list[DataFrame]) -> DataFrame:
         out = self.spark.createDataFrame([], self.schema) if not parts else parts[0]
@@ -86,7 +87,10 @@ class RunStore:
         return self._union([r for level in self.levels for r in level])
 
     def add(self, lines: DataFrame) -> DataFrame:
-        """Take in a batch of (h1, h2, doc), doc ids that no earlier batch had; returns its keys that are new."""
+        """Take in a batch of (h1, h2, doc), doc ids that no earlier batch had; returns its keys that are new, to be read before the
+        next batch."""
+        while self.merged:
+            self.scratch.drop(self.merged.pop())
         batch = lines.distinct().groupBy("h1", "h2").agg(F.count("*").alias("n"), F.max("doc").alias("top"))
         if not self.levels:
             fresh = self.scratch.save(batch, "run0")
@@ -108,8 +112,7 @@ class RunStore:
             self.levels[level] = []
             merged = self._union(old).repartitionByRange("h1").sortWithinPartitions("h1", "h2")
             self._put(self.scratch.save(merged, f"run{level + 1}"), level + 1)
-            for r in old:
-                self.scratch.drop(r)
+            self.merged += old  # what add() has just returned may be among them
 
     def repeated(self, min_docs: int) -> DataFrame:
         """(h1, h2, top) of the keys that at least min_docs documents hold."""
