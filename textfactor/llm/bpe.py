@@ -29,7 +29,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from textfactor.llm.scratch import bounded_batches
-from textfactor.llm.textscan import mix
+from textfactor.llm.textscan import mix, tidy
 
 MASK_BITS = 10
 WINDOW = 24
@@ -202,6 +202,7 @@ def encode_texts(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
                 if with_ids:
                     cols.append(pa.array(all_ids, pa.list_(pa.int32())))
                 yield pa.RecordBatch.from_arrays(cols, names)
+            tidy()
 
     schema = f"id {kind}, n_tokens long, ids_sha256 string, decoded_sha256 string" + ", token_ids array<int>" * with_ids
     return docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text")).mapInArrow(run, schema).withColumnRenamed("id", id_col)

@@ -226,7 +226,7 @@ def score_texts(docs: DataFrame, train_where, id_col: str = "doc_id", text_col:
         keys, logs, model = sent.value
         part, seen = TaskContext.get().partitionId(), 0
         for batch in batches:
-            for b in pieces(batch, 1, 12 << 20):
+            for b in pieces(batch, 1, 6 << 20):
                 w = Words(b.column("text"), tail=TAIL)
                 m, first = b.num_rows, w.first
                 cls = np.insert(_classes(w), first[1:], 0)

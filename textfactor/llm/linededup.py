@@ -22,6 +22,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from textfactor.llm.scratch import Scratch
+from textfactor.llm.textscan import tidy
 
 BATCHES = 4
 FANOUT = 4
@@ -61,6 +62,7 @@ def line_hashes(docs: DataFrame, id_col: str, text_col: str, min_chars: int, bat
             h = np.frombuffer(b"".join(out_h), np.int64).reshape(-1, 2)
             d = np.repeat(np.array([x[0] for x in out_d], np.int64), [x[1] for x in out_d]) if out_d else np.zeros(0, np.int64)
             yield pa.RecordBatch.from_arrays([pa.array(h[:, 0].copy()), pa.array(h[:, 1].copy()), pa.array(d)], ["h1", "h2", "doc"])
+            tidy()
 
     rows = docs.select(_no_null(id_col).alias("id"), F.col(text_col).alias("text")).mapInArrow(run, "h1 long, h2 long, doc long")
     return rows.withColumn("batch", F.pmod(F.xxhash64("doc"), F.lit(batches)).cast("int"))

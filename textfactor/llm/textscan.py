@@ -7,11 +7,13 @@ V**2 / 2**65 pairs collide).
 
 from __future__ import annotations
 
+import ctypes
+
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
 
-BLOCK = 1 << 19
+BLOCK = 1 << 17
 _SPACE = np.zeros(256, bool)
 _SPACE[[0x20, 0x09, 0x0A, 0x0B, 0x0C, 0x0D]] = True
 _BASE = 0x9E3779B97F4A7C15 | 5
@@ -69,7 +71,20 @@ def text_bytes(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     return data, off - off[0]
 
 
-def pieces(batch: pa.RecordBatch, column: int, limit: int = 6 << 20):
+def tidy() -> None:
+    """Hand freed memory back to the system: workers are reused, and all of an executor's share its budget."""
+    pa.default_memory_pool().release_unused()
+    if _trim is not None:
+        _trim(0)
+
+
+try:
+    _trim = ctypes.CDLL(None).malloc_trim
+except (OSError, AttributeError):  # another C library
+    _trim = None
+
+
+def pieces(batch: pa.RecordBatch, column: int, limit: int = 2 << 20):
     """The batch in slices of whole rows whose texts have about ``limit`` bytes, or one row."""
     sizes = pc.fill_null(pc.binary_length(batch.column(column)), 0).to_numpy(zero_copy_only=False)
     part = np.cumsum(sizes, dtype=np.int64) // limit
@@ -77,6 +92,7 @@ def pieces(batch: pa.RecordBatch, column: int, limit: int = 6 << 20):
     for a, b in zip(cuts[:-1], cuts[1:]):
         if b > a:
             yield batch.slice(a, b - a)
+    tidy()
 
 
 def _blocks(data: np.ndarray, off: np.ndarray, space: np.ndarray):
