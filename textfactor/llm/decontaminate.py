@@ -149,6 +149,41 @@ def _item_blocks(items: DataFrame, item_col: str, item_text: str):
         yield ids, texts
 
 
+def _marked(column: pa.Array, index: ItemIndex):
+    """Words, shingles, first words and row bounds of a column, which shingles are the benchmark's, and the rows that have
+    enough of them for the smallest item."""
+    w = Words(column, space=_BREAK)
+    h, at, bounds = shingles(w, K)
+    hit = index.marks(h)
+    many = np.concatenate([[0], np.cumsum(hit)])
+    enough = (many[bounds[1:]] - many[bounds[:-1]] >= THRESHOLD * index.sizes[0] - 1e-9) & (bounds[1:] > bounds[:-1])
+    return w, h, at, bounds, hit, np.flatnonzero(enough).tolist()
+
+
+def drop_contaminated(docs: DataFrame, items: DataFrame, text_col: str = "text", item_col: str = "item_id", item_text: str = "text") -> DataFrame:
+    """``docs`` without the rows in which some item is found: the same search, row by row, so that no text is shuffled."""
+    spark = docs.sparkSession
+    bounded_batches(spark)
+    place, schema = docs.columns.index(text_col), docs.schema
+    for ids, texts in _item_blocks(items, item_col, item_text):
+        index = ItemIndex(ids, texts)
+        if not index.sizes:
+            continue
+        sent = spark.sparkContext.broadcast(index)  # of a block of bounded size
+
+        def run(batches, sent=sent):
+            index = sent.value
+            for b in (p for batch in batches for p in pieces(batch, place)):
+                _, h, _, bounds, hit, some = _marked(b.column(place), index)
+                keep = np.ones(b.num_rows, bool)
+                for r in some:
+                    keep[r] = not index.search(h[bounds[r] : bounds[r + 1]], hit[bounds[r] : bounds[r + 1]])
+                yield b.filter(pa.array(keep))
+
+        docs = docs.mapInArrow(run, schema)
+    return docs
+
+
 def find_items(docs: DataFrame, items: DataFrame, id_col: str = "doc_id", text_col: str = "text", item_col: str = "item_id", item_text: str = "text") -> DataFrame:
     """``id, item_id, similarity, start_byte, end_byte``: the best window of every (document, item) pair that reaches the threshold."""
     bounded_batches(docs.sparkSession)
@@ -167,16 +202,10 @@ def find_items(docs: DataFrame, items: DataFrame, id_col: str = "doc_id", text_c
         def run(batches, sent=sent):
             index = sent.value
             for b in (p for batch in batches for p in pieces(batch, 1)):
-                w = Words(b.column(1), space=_BREAK)
-                h, at, bounds = shingles(w, K)
-                hit = index.marks(h)
-                many = np.concatenate([[0], np.cumsum(hit)])
-                some = np.flatnonzero((many[bounds[1:]] - many[bounds[:-1]]) >= THRESHOLD * index.sizes[0] - 1e-9)
+                w, h, at, bounds, hit, some = _marked(b.column(1), index)
                 row, found = [], []
-                for r in some.tolist():
+                for r in some:
                     u, v = bounds[r], bounds[r + 1]
-                    if v == u:
-                        continue
                     last = w.first[r + 1] - 1
                     for i, sim, p, size in index.search(h[u:v], hit[u:v]):
                         a = at[u + p]
