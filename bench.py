@@ -41,7 +41,7 @@ def main() -> None:
     scratch = Scratch(spark, "bench")
     docs = read_texts(spark, sf_dir, "documents")
     pages = read_texts(spark, sf_dir, "pages")
-    letters = scratch.save(corpus.lineitem_letters(read_table(spark, sf_dir, "lineitem")), "letters")
+    letters = scratch.save(corpus.lineitem_letters_whole(read_table(spark, sf_dir, "lineitem")), "letters")
     docs.count(), spark.range(8).mapInPandas(lambda it: it, "id long").count()  # start the workers
 
     for name, texts in (("documents", docs), ("pages", pages), ("letters", letters)):

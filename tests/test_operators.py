@@ -3,6 +3,7 @@ import random
 import pytest
 from pyspark.sql import functions as F
 
+from textfactor import workloads
 from textfactor.operators import arrays, coding, compact, decode, factorize, graph, measures, reuse
 from textfactor.operators.global_text import GlobalText
 from textfactor.plans import checks
@@ -114,6 +115,18 @@ def test_quotes(spark, texts):
     assert got[(3, 1)] == 7 and got[(4, 2)] == 5 and (3, 3) not in got
 
 
+def test_letters_are_one_text(spark, tmp_path):
+    """The letters after the first 65,536 repeat the first ones."""
+    x = F.expr("pmod(hash(id % 65536), 4)")
+    rows = spark.range(70000).select(F.col("id").alias("l_orderkey"), *(F.lit(1).alias(c) for c in corpus.LINEITEM_ORDER[1:4]), F.make_date(F.lit(2000), x * 3 + 1, F.lit(1)).alias("l_shipdate"))
+    rows.write.parquet(str(tmp_path / "lineitem.parquet"))
+    got = {r["min_len"]: r for r in workloads.QUERIES["min_len_sweep_letters"](spark, str(tmp_path)).collect()}
+    assert got[22]["n_refs"] >= 1 and got[22]["n_literal_chars"] <= 65536
+    assert [r["n"] for r in workloads.QUERIES["prefix_counts_letters"](spark, str(tmp_path)).where("part = 1").collect()] == [70000] * 2
+    back, want = (workloads.QUERIES[q](spark, str(tmp_path)) for q in ("letters_roundtrip", "letters_text"))
+    assert sorted(map(tuple, back.collect())) == sorted(map(tuple, want.collect())) and want.count() == 2
+
+
 def test_files(spark, texts, tmp_path):
     f = coding.encode(factorize.factorize(texts), texts)
     for kind in ("parquet", "orc"):

@@ -82,3 +82,16 @@ LINEITEM_ORDER = ["l_orderkey", "l_linenumber", "l_partkey", "l_suppkey", "l_shi
 def lineitem_letters(lineitem: DataFrame, block: int = 1 << 16) -> DataFrame:
     """The four-letter sequence: the quarter of each line's ship date."""
     return symbol_text(lineitem, LINEITEM_ORDER, F.expr(f"substring('{LETTERS}', quarter(l_shipdate), 1)"), block)
+
+
+def lineitem_letters_whole(lineitem: DataFrame) -> DataFrame:
+    """The four-letter sequence as one text, the blocks in their order: one row, which one task factorizes."""
+    return shard_texts(lineitem_letters(lineitem), 1 << 40, "")
+
+
+def cut_text(texts: DataFrame, block: int = 1 << 16) -> DataFrame:
+    """One text cut into blocks again, text_id counts them: the inverse of joining the blocks of ``symbol_text``."""
+    cuts = F.expr(f"sequence(0L, (length(text) - 1) div {block})")
+    return texts.where("length(text) > 0").select(F.explode(cuts).alias("text_id"), "text").select(
+        "text_id", F.expr(f"substring(text, cast(text_id * {block} + 1 AS int), {block})").alias("text")
+    )

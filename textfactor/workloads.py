@@ -470,6 +470,9 @@ for _k in range(0, 8):
         "SELECT string_agg(x, '' ORDER BY i) AS text FROM (SELECT substr('ACGT', quarter(l_shipdate), 1) AS x, row_number() OVER (ORDER BY l_orderkey, l_linenumber, l_partkey, l_suppkey, l_shipdate) - 1 AS i FROM lineitem) GROUP BY i // 65536", _k))(
         lambda spark, sf, k=_k: _rounded(measures.empirical_entropy(corpus.lineitem_letters(read_table(spark, sf, "lineitem")), k))
     )
+    query(f"entropy_letters_whole_{_k}", _entropy_sql(LETTERS_SQL, _k))(
+        lambda spark, sf, k=_k: _rounded(measures.empirical_entropy(corpus.lineitem_letters_whole(read_table(spark, sf, "lineitem")), k))
+    )
 
 
 @query("alphabet_size", f"SELECT count(DISTINCT x) AS sigma FROM (SELECT unnest(string_split(text, '')) AS x FROM ({SRC['documents']})) WHERE x <> ''")
@@ -482,16 +485,21 @@ def _(spark, sf):
     return corpus.lineitem_letters(read_table(spark, sf, "lineitem")).select("text_id", F.md5("text").alias("digest"))
 
 
+def _block_digests(decoded: DataFrame) -> DataFrame:
+    """A sequence is factorized and decoded as one text; its digests are taken block by block, as the SQL does."""
+    return corpus.cut_text(decoded).select("text_id", F.md5("text").alias("digest"))
+
+
 @query("letters_roundtrip", SQL["letters_text"])
 def _(spark, sf):
-    t = corpus.lineitem_letters(read_table(spark, sf, "lineitem"))
-    return _digest(t, decode.decode_memory(coding.encode(factorize.factorize(t), t)))
+    t = corpus.lineitem_letters_whole(read_table(spark, sf, "lineitem"))
+    return _block_digests(decode.decode_memory(coding.encode(factorize.factorize(t), t)))
 
 
 @query("letters_low_sigma_roundtrip", "SELECT i // 65536 AS text_id, md5(string_agg(x, '' ORDER BY i)) AS digest FROM (SELECT o_orderstatus AS x, row_number() OVER (ORDER BY o_orderkey) - 1 AS i FROM orders) GROUP BY ALL")
 def _(spark, sf):
-    t = corpus.symbol_text(read_table(spark, sf, "orders"), ["o_orderkey"], F.col("o_orderstatus"))
-    return _digest(t, decode.decode_memory(coding.encode(factorize.factorize(t, 5), t)))
+    t = corpus.shard_texts(corpus.symbol_text(read_table(spark, sf, "orders"), ["o_orderkey"], F.col("o_orderstatus")), 1 << 40, "")
+    return _block_digests(decode.decode_memory(coding.encode(factorize.factorize(t, 5), t)))
 
 
 @query("prefix_text", f"""WITH t AS (SELECT *, sum(length(text)) OVER (ORDER BY text_id) - length(text) AS start, sum(length(text)) OVER () AS n FROM ({SRC['documents']}))
@@ -525,7 +533,7 @@ def _(spark, sf):
 
 @query("prefix_counts_letters")
 def _(spark, sf):
-    return _prefix_counts(spark, corpus.lineitem_letters(read_table(spark, sf, "lineitem")))
+    return _prefix_counts(spark, corpus.lineitem_letters_whole(read_table(spark, sf, "lineitem")))
 
 
 @query("min_len_sweep_documents")
@@ -540,7 +548,7 @@ def _(spark, sf):
 
 @query("min_len_sweep_letters")
 def _(spark, sf):
-    return measures.sweep(corpus.lineitem_letters(read_table(spark, sf, "lineitem")), [*range(7, 13), *range(17, 23)])
+    return measures.sweep(corpus.lineitem_letters_whole(read_table(spark, sf, "lineitem")), [*range(7, 13), *range(17, 23)])
 
 
 @query("min_len_sweep_benchmark", " UNION ALL ".join(
