@@ -115,6 +115,17 @@ def test_quotes(spark, texts):
     assert got[(3, 1)] == 7 and got[(4, 2)] == 5 and (3, 3) not in got
 
 
+@pytest.mark.parametrize("most", [1 << 22, 8])
+def test_equal_and_nested_quotes(spark, texts, monkeypatch, most):
+    monkeypatch.setattr(reuse, "MAX_ITEM_SYMBOLS", most)
+    random.seed(9)
+    words = ["babbabb", "babbabb", "abba", "b", "né", "né né", "", None, "abbabababbabbaababababa"]
+    words += ["".join(random.choice("ab c") for _ in range(random.randint(1, 6))) for _ in range(30)]
+    items = spark.createDataFrame(list(enumerate(words)), "item_id long, text string")
+    got = {(r["text_id"], r["item_id"]): r["pos"] for r in reuse.quotes(texts, items).collect() if r["len"] == len(words[r["item_id"]])}
+    assert got == {(k, i): t.find(w) + 1 for k, t in as_dict(texts).items() for i, w in enumerate(words) if w is not None and w in t}
+
+
 def test_letters_are_one_text(spark, tmp_path):
     """The letters after the first 65,536 repeat the first ones."""
     x = F.expr("pmod(hash(id % 65536), 4)")

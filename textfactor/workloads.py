@@ -649,8 +649,9 @@ def _(spark, sf):
 @query("benchmark_quotes", "SELECT doc_id AS text_id, item_id, length(b.text) AS len FROM documents d JOIN benchmark b ON contains(d.text, b.text)")
 def _(spark, sf):
     items = read_table(spark, sf, "benchmark").select("item_id", "text")
-    found = reuse.quotes(read_texts(spark, sf, "documents"), items)
-    return found.join(F.broadcast(items.select("item_id", F.length("text").cast("long").alias("n"))), "item_id").where("len = n").select("text_id", "item_id", "len")
+    docs = read_table(spark, sf, "documents").where("text IS NOT NULL")
+    found = reuse.quotes(corpus.as_collection(docs, "doc_id", "text"), items)
+    return found.join(items.select("item_id", F.length("text").cast("long").alias("n")), "item_id").where("len = n").select("text_id", "item_id", "len")
 
 
 @query("near_copy_factors")
