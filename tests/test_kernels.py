@@ -99,3 +99,46 @@ def test_circle_is_found():
     # factors that point at each other while no symbol runs in a circle
     p = K.char_parents(9, np.array([0, 4]), np.array([5, 1]), np.array([4, 4]))
     assert K.depths(p).max() == 8 and set(K.resolve(p)[0]) == {8}
+
+
+def copies(seed, n=700, longest=320):
+    """Random symbols with long copies of what stands before, and runs."""
+    rng = random.Random(seed)
+    x = [rng.randint(1, 3) for _ in range(5)]
+    while len(x) < n:
+        a = rng.randrange(len(x))
+        x += rng.choice([x[a : a + rng.randint(1, longest)], [rng.randint(1, 3) for _ in range(rng.randint(1, 30))], [1] * rng.randint(1, 40), [1, 2] * rng.randint(1, 90)])
+    return np.array(x, np.int64)
+
+
+def end_aligned_exact(t, min_len):
+    """All phrase ends and all lengths are tried."""
+    t, i, out, ends = t.tolist(), 0, [], []
+    while i < len(t):
+        best, src = 0, -1
+        for e in ends:
+            for k in range(min(e, len(t) - i), max(best, min_len - 1), -1):
+                if t[e - k : e] == t[i : i + k]:
+                    best, src = k, e - k
+                    break
+        out.append((i, src, max(1, best)))
+        i += max(1, best)
+        ends.append(i)
+    return out
+
+
+def test_end_aligned_phrases_have_no_bound():
+    long = 0
+    for seed in range(12):
+        t = copies(seed)
+        for m in (2, 5):
+            want = end_aligned_exact(t, m)
+            long += sum(n > 128 for _, _, n in want)
+            assert K.end_aligned_parse(t, m) == want
+            for gram in (2, 6, 40):
+                assert K.end_aligned_parse(t, m, gram) == want
+    assert long > 3
+    rng = random.Random(1)
+    t = np.tile(np.array([rng.randint(1, 9) for _ in range(500)], np.int64), 4)
+    for m in (2, 150):
+        assert K.end_aligned_parse(t, m) == end_aligned_exact(t, m)

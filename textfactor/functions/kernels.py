@@ -8,6 +8,7 @@ independent, so a batch of many small texts costs as few NumPy calls as one larg
 from __future__ import annotations
 
 import heapq
+from bisect import bisect_right
 
 import numpy as np
 
@@ -432,25 +433,60 @@ def window_parse(t: np.ndarray, window: int, min_len: int, depth: int = 64) -> l
     return out
 
 
-def end_aligned_parse(t: np.ndarray, min_len: int, longest: int = 128) -> list[tuple[int, int, int]]:
-    """Unidirectional phrases of at most ``longest`` symbols whose source ends where an earlier phrase ends; the longest one,
-    then the first. A table holds all strings that end at a phrase's end."""
+def end_aligned_parse(t: np.ndarray, min_len: int, gram: int = 128) -> list[tuple[int, int, int]]:
+    """Unidirectional phrases whose source ends where an earlier phrase ends; the longest one, then the first.
+
+    A table holds all strings of up to ``gram`` symbols that end at a phrase's end. Longer sources are extended from the places
+    of their first ``gram`` symbols and cut back to the last phrase end in reach.
+    """
     data = t.astype(np.uint32).tobytes()
     n, i, out, seen = len(t), 0, [], {}
+    ends: list[int] = []
+    opens: dict[int, list[int]] = {}  # hash of the first symbols -> places, all of whose first symbols are parsed
+    ready = 0
     while i < n:
         size, src = 1, -1
-        for k in range(min(longest, i, n - i), min_len - 1, -1):
+        best = gram
+        for j in opens.get(hash(data[4 * i : 4 * (i + gram)]), ()) if i + gram < n else ():
+            top = min(i - j, n - i)
+            if top <= best or data[4 * j : 4 * (j + best)] != data[4 * i : 4 * (i + best)]:
+                continue
+            e = ends[bisect_right(ends, j + _extend(data, j, i, best, top)) - 1]
+            if e - j > best and e - j >= min_len:
+                best = size = e - j
+                src = j
+        for k in range(min(gram, i, n - i) if src < 0 else 0, min_len - 1, -1):
             at = seen.get(data[4 * i : 4 * (i + k)])
             if at is not None:
                 size, src = k, at
                 break
         out.append((i, src, size))
         i += size
-        for k in range(min_len, min(longest, i) + 1):
+        ends.append(i)
+        for k in range(min_len, min(gram, i) + 1):
             seen.setdefault(data[4 * (i - k) : 4 * i], i - k)
+        for j in range(ready, i - gram if n - i > gram else ready):
+            opens.setdefault(hash(data[4 * j : 4 * (j + gram)]), []).append(j)
+            ready = j + 1
     return out
 
 
+def _extend(data: bytes, a: int, b: int, k: int, top: int) -> int:
+    """The longest common prefix of the symbols at ``a`` and ``b`` up to ``top``; the first ``k`` are known to be equal."""
+    step = 16
+    while k < top:
+        step = min(step, top - k)
+        if data[4 * (a + k) : 4 * (a + k + step)] == data[4 * (b + k) : 4 * (b + k + step)]:
+            k += step
+            step *= 2
+        elif step == 1:
+            break
+        else:
+            step //= 2
+            top = min(top, k + 2 * step)
+    return k
+
+
 def scan_parse(t: np.ndarray, block: int, min_len: int) -> list[tuple[int, int, int]]:
     """Unidirectional greedy parse that reads the text block by block and matches against all earlier text by searching it."""
     data = t.astype(">i4").tobytes()
