@@ -142,3 +142,33 @@ def test_end_aligned_phrases_have_no_bound():
     t = np.tile(np.array([rng.randint(1, 9) for _ in range(500)], np.int64), 4)
     for m in (2, 150):
         assert K.end_aligned_parse(t, m) == end_aligned_exact(t, m)
+
+
+def window_exact(t, window, min_len):
+    """All places of the window are tried."""
+    t, i, out = t.tolist(), 0, []
+    while i < len(t):
+        best, src = 0, -1
+        for j in range(max(0, i - window), i):
+            k = 0
+            while i + k < len(t) and t[i + k] == t[j + k]:
+                k += 1
+            if k > best:
+                best, src = k, j
+        ok = best >= min_len
+        out.append((i, src if ok else -1, best if ok else 1))
+        i += out[-1][2]
+    return out
+
+
+def test_window_keeps_all_places():
+    for seed in range(6):
+        t = copies(seed, 500, 60)
+        for window in (1, 16, 256, 1024):
+            for m in (2, 3):
+                assert K.window_parse(t, window, m) == window_exact(t, window, m)
+    # one signature, many places: the longest source is the oldest of 100
+    rng = random.Random(3)
+    t = [*b"abcXYZW"] + [x for _ in range(100) for x in (*b"abc", 300 + rng.randrange(1000))] + [*b"abcXYZW"]
+    got = K.window_parse(np.array(t, np.int64), 1024, 3)
+    assert got[-1] == (len(t) - 7, 0, 7)

@@ -405,25 +405,25 @@ def greedy_parse(step: np.ndarray, first: np.ndarray) -> np.ndarray:
     return np.array(out, np.int64)
 
 
-def window_parse(t: np.ndarray, window: int, min_len: int, depth: int = 64) -> list[tuple[int, int, int]]:
+def window_parse(t: np.ndarray, window: int, min_len: int) -> list[tuple[int, int, int]]:
     """(start, source, length), literals with source -1: sources begin at most ``window`` symbols back."""
     from collections import defaultdict, deque
 
-    seen: dict[bytes, deque] = defaultdict(lambda: deque(maxlen=depth))
+    seen: dict[bytes, deque] = defaultdict(deque)
     data = t.astype(np.int32).tobytes()
     n, i, out, w = len(t), 0, [], max(2, min_len)
     sig = lambda k: data[4 * k : 4 * (k + w)]
     while i < n:
         best, src = 0, -1
         if i + w <= n:
-            for j in reversed(seen[sig(i)]):
-                if i - j > window:
-                    break
-                k = w
-                while i + k < n and t[i + k] == t[j + k]:
-                    k += 1
-                if k > best or (k == best and j < src):
-                    best, src = k, j
+            places = seen[sig(i)]
+            while places and i - places[0] > window:
+                places.popleft()
+            for j in places:  # of equal lengths the first counts
+                if data[4 * j : 4 * (j + best + 1)] == data[4 * i : 4 * (i + best + 1)]:
+                    best, src = _extend(data, j, i, max(w, best + 1), n - i), j
+                    if i + best == n:
+                        break
         size = best if best >= min_len else 1
         out.append((i, src if best >= min_len else -1, size))
         for k in range(i, i + size):
