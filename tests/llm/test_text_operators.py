@@ -146,6 +146,22 @@ def test_joins_are_repaired(monkeypatch):
         assert e.encode(t) == lib.encode(t, add_special_tokens=False).ids
 
 
+def test_short_texts_share_chunks():
+    from tokenizers import Tokenizer
+
+    lib, e = Tokenizer.from_file(bpe._vocab_paths()[0]), bpe.ChunkEncoder(*bpe._vocab_paths())
+    random.seed(6)
+    words = lambda n: " ".join("".join(random.choices("abcdeé", k=random.randint(1, 9))) for _ in range(n))
+    passage = words(450)
+    one, two = words(40) + " " + passage, words(70) + " " + passage
+    assert 2000 < len(one.encode()) < 4096 and e.encode(one) == lib.encode(one, add_special_tokens=False).ids
+    kept = set(e.store)
+    assert kept and e.encode(one) == lib.encode(one, add_special_tokens=False).ids and set(e.store) == kept
+    assert e.encode(two) == lib.encode(two, add_special_tokens=False).ids
+    assert any(two.encode()[a:b] in kept for a, b in zip(e.cuts(two.encode()), e.cuts(two.encode())[1:]))
+    assert e.encode("") == [] and e.encode("ab") == lib.encode("ab", add_special_tokens=False).ids and b"ab" in e.store
+
+
 # ---- op 5
 def test_quality(spark, sf):
     sf = "/root/testdata/sf0.01"

@@ -81,8 +81,8 @@ class ChunkEncoder:
     def cuts(self, data: bytes) -> list[int]:
         """Places between code points where the hash of the bytes before ends in zeros."""
         n = len(data)
-        if n < 4 << MASK_BITS:
-            return [0, n] if n else [0]
+        if not n:
+            return [0]
         raw = np.frombuffer(data, np.uint8)
         out = [0]
         for a in range(0, n, 1 << 20):
@@ -148,7 +148,7 @@ class ChunkEncoder:
         data = text.encode("utf-8")
         cuts = self.cuts(data)
         if len(cuts) <= 2:
-            return self.core.encode(text, allowed_special=self.allowed)
+            return list(self.chunk(data)[0]) if data else []
         out: list[int] = []
         start = None  # where the window that is to be encoded anew begins; None: nothing is pending
         for a, b in zip(cuts[:-1], cuts[1:]):
