@@ -158,9 +158,11 @@ def brute_jaccard(docs, rule):
 
 
 @pytest.mark.parametrize("rule", [jaccard.Rule(3, 90, 100), jaccard.Rule(5, 80, 100), jaccard.Rule(1, 50, 100)])
-def test_jaccard(spark, monkeypatch, rule):
-    monkeypatch.setattr(jaccard, "BLOCK", 7)
-    monkeypatch.setattr(jaccard, "SMALL", 6)
+@pytest.mark.parametrize("block, spread", [(7, 64), (3, 0), (512, 64)])
+def test_jaccard(spark, monkeypatch, rule, block, spread):
+    monkeypatch.setattr(jaccard, "BLOCK", block)
+    monkeypatch.setattr(jaccard, "SPREAD", spread)
+    monkeypatch.setattr(jaccard, "CHUNK", 300)
     random.seed(rule.num)
     vocab = [f"w{i}" for i in range(200)]
     docs = {}
@@ -185,18 +187,33 @@ def test_jaccard_corner_cases(spark):
     assert jaccard.link_documents(edge_docs(spark).limit(0)).count() == 0
 
 
-def test_shared_keys_over_batches(spark):
-    spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", 3)
-    try:
-        random.seed(2)
-        rows = [(random.randint(0, 30), random.randint(0, 6)) for _ in range(150)]
-        got = {(r["key"], r["node"], r["head"]) for r in jaccard._shared_keys(spark.createDataFrame(rows, "key long, node long")).collect()}
-        by = defaultdict(set)
-        for k, n in rows:
-            by[k].add(n)
-        assert got == {(k, n, min(v)) for k, v in by.items() if len(v) > 1 for n in v}
-    finally:
-        spark.conf.unset("spark.sql.execution.arrow.maxRecordsPerBatch")
+def test_local_part_of_the_early_count():
+    rng = np.random.default_rng(4)
+    entries = sorted({(int(o), int(k)) for o, k in zip(rng.integers(0, 30, 300), rng.integers(0, 90, 300))})
+    owner, key = np.array(entries).T
+    own, hubs, sent, out = jaccard.shared_here(owner, key.astype(np.uint64), 30)
+    holders = defaultdict(list)
+    for o, k in entries:
+        holders[k].append(o)
+    assert own.tolist() == [sum(len(holders[k]) > 1 for p, k in entries if p == o) for o in range(30)]
+    assert sorted(out.tolist()) == sorted(holders) and sent.sum() == len(holders)
+    at = 0
+    for o in range(30):
+        keys = out[at : at + sent[o]].tolist()
+        assert all(o in holders[k] for k in keys) and [len(holders[k]) > 1 for k in keys] == [x < hubs[o] for x in range(sent[o])]
+        at += sent[o]
+
+
+def test_early_count_keeps_every_link():
+    random.seed(5)
+    for rule in (jaccard.Rule(3, 90, 100), jaccard.Rule(5, 80, 100), jaccard.Rule(1, 50, 100)):
+        for _ in range(4000):
+            a = set(random.sample(range(400), random.randint(1, 120)))
+            b = set(random.sample(sorted(a), max(1, len(a) - random.randint(0, 12)))) | {random.randint(0, 400) for _ in range(random.randint(0, 9))}
+            if a != b and rule.den * len(a & b) >= rule.num * len(a | b):
+                first = [set(sorted(x)[: rule.prefix(len(x))]) for x in (a, b)]
+                assert not rule.alone(len(a)) and not rule.alone(len(b))
+                assert len(first[0] & first[1]) >= max(rule.ask(len(a)), rule.ask(len(b)))
 
 
 def test_jaccard_query(spark, sf):
@@ -225,3 +242,33 @@ def test_pipeline(spark, sf):
     last = stage["BPE encoding and decoding"](spark, clean, sf)
     assert last.count() == clean.count() and last.where("n_tokens <> size(token_ids)").count() == 0
     assert p.run(spark, sf).select("doc_id").exceptAll(last.select("doc_id")).count() == 0
+
+
+def test_near_dedup_corner_cases(spark, sf):
+    import corpus_pipeline as p
+
+    words = [f"w{i}" for i in range(40)]
+    base, near, other = " ".join(words), " ".join(words[:-1] + ["x"]), " ".join(reversed(words))
+    rows = [
+        (7, base), (7, base), (9, base), (3, near), (3, other), (None, near), (None, "alone here with five words"),
+        (11, None), (11, None), (12, ""), (13, " \n"), (None, None), (20, "two two"), (21, "two two"),
+    ]
+    docs = spark.createDataFrame([(i, t, "x", 1, "a") for i, t in rows], "doc_id long, text string, text_hash string, stays int, component string")
+    near_dedup = dict(p.STAGES)["n-gram Jaccard join"]
+    got = near_dedup(spark, docs, sf)
+    assert got.columns == docs.columns
+    want = [(3, near), (3, other), (None, "alone here with five words"), (11, None), (11, None), (12, ""), (13, " \n"), (None, None), (20, "two two")]
+    assert sorted(((r["doc_id"], r["text"]) for r in got.collect()), key=str) == sorted(want, key=str)
+    twice = near_dedup(spark, docs.where("doc_id = 7"), sf).collect()
+    assert [(r["doc_id"], r["text"]) for r in twice] == [(7, base)]
+    assert near_dedup(spark, docs.limit(0), sf).count() == 0
+
+
+def test_pipeline_stages_on_corner_cases(spark, sf):
+    import corpus_pipeline as p
+
+    docs = edge_docs(spark)
+    for name, stage in p.STAGES:
+        for d in (docs, docs.limit(0)):
+            out = stage(spark, d, sf)
+            assert out.count() <= d.count() and (name == p.STAGES[-1][0] or out.columns == d.columns), name

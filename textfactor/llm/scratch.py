@@ -8,6 +8,7 @@ import tempfile
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 
 def shared_root(spark: SparkSession) -> str:
@@ -32,6 +33,19 @@ def bounded_batches(spark: SparkSession, limit: int = 8 << 20) -> None:
         spark.conf.set(key, f"{limit}b")
 
 
+def small_side(df: DataFrame, most: int = 4_000_000) -> DataFrame:
+    """``df``, a saved table of a few long columns, marked for broadcast if it has at most ``most`` rows; else a join shuffles it."""
+    return F.broadcast(df) if df.count() <= most else df
+
+
+def fresh(df: DataFrame, name: str) -> str:
+    """``name``, or with underscores behind until no column of ``df`` has it (Spark's names ignore case)."""
+    taken = {c.lower() for c in df.columns}
+    while name.lower() in taken:
+        name += "_"
+    return name
+
+
 class Scratch:
     """Tables of one operator call.
 
