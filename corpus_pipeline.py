@@ -14,13 +14,14 @@ from textfactor.llm.decontaminate import drop_contaminated
 from textfactor.llm.jaccard import Rule, link_documents
 from textfactor.llm.linededup import dedup_lines
 from textfactor.llm.quality import THRESHOLD, fit, score
-from textfactor.llm.scratch import Scratch
+from textfactor.llm.scratch import Scratch, fresh, small_side
 
 
 def quality_filter(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the quality classifier rejects go; it learns from the labelled documents outside of fold 0."""
     model = fit(docs, spark.read.parquet(f"{sf_dir}/labels.parquet"))
-    return score(docs, model, score_col="__score").where(F.col("__score") >= THRESHOLD).drop("__score")
+    name = fresh(docs, "score")
+    return score(docs, model, score_col=name).where(F.col(name) >= THRESHOLD).drop(name)
 
 
 def line_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -30,12 +31,23 @@ def line_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group linked by five-word shingles with a Jaccard similarity of 0.8 or more stays, the one with the
-    smallest doc_id (rows that share it are one document). Documents without words or without an id are no group and stay."""
-    linked = link_documents(docs, Rule(k=5, num=80, den=100))
-    gone = linked.where((F.col("n_shingles") > 0) & (F.col("id") != F.col("component_id"))).select(F.col("id").alias("doc_id"))
-    kept = docs.join(gone.distinct(), "doc_id", "left_anti")
-    return kept.select(*docs.columns)
+    """One row of each group linked by five-word shingles with a Jaccard similarity of 0.8 or more stays: the one with the
+    smallest doc_id (null last), then the smallest hash of its text; of fully equal ones any. Rows without words are no group and stay."""
+    scratch = Scratch(spark, "near-dedup")
+    linked = link_documents(docs, Rule(k=5, num=80, den=100)).where(F.col("component").isNotNull())
+    texts = linked.groupBy("component", "id", "text_hash").agg(F.count("*").alias("rows"))
+    texts = texts.withColumn("place", F.struct(F.col("id").isNull(), "id", "text_hash"))
+    best = texts.groupBy("component").agg(F.min("place").alias("best"))
+    texts = texts.join(best, "component").withColumn("stays", F.col("place") == F.col("best")).where("not stays or rows > 1")
+    id_, hash_, stays = fresh(docs, "id_of"), fresh(docs, "text_hash"), fresh(docs, "stays")
+    marks = texts.select(F.col("id").alias(id_), F.col("text_hash").alias(hash_), F.col("stays").alias(stays))
+    marks = scratch.save(marks, "marks")
+    rows = docs.withColumn(hash_, F.xxhash64("text"))
+    marked = rows.join(small_side(marks), hash_).where(F.col("doc_id").eqNullSafe(F.col(id_)))
+    again = marked.where(stays).dropDuplicates(["doc_id", hash_])
+    other = rows.join(small_side(marks), (rows[hash_] == marks[hash_]) & rows["doc_id"].eqNullSafe(marks[id_]), "left_anti")
+    kept = other.select(*docs.columns)
+    return kept.unionByName(again.select(*docs.columns)) if marks.where(stays).limit(1).count() else kept
 
 
 def decontaminate(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
