@@ -11,7 +11,7 @@ shingles' occurrences halve, quarter and so on.
 *Candidates.* In this order two sets that link share one of the first ``shared - need + 1`` of their shared shingles. The sets
 that have such a shingle in common are its list; equal lists count once.
 
-*Overlaps.* Every set goes to the block of its longest list, lists of over ``BLOCK`` sets are salted over several blocks. In
+*Overlaps.* Sets with overlapping lists go to one block; over ``BLOCK`` sets are salted over several. In
 a block the overlaps of all pairs are counted fragment by fragment and summed per pair; what leaves it are the links that
 join its sets, fewer than its sets. Lists that lie in several blocks, and are not one component by then, have their pairs
 of blocks compared alike. Before that, while such lists are spread over many blocks, their sets are dealt to blocks anew.
@@ -44,6 +44,7 @@ FRAGMENTS = 8
 BLOCK = 512
 SPREAD = 64
 ROUNDS = 4
+HOPS = 2
 CLASS_BITS = 57
 
 
@@ -224,8 +225,13 @@ def lists_of(ordered: DataFrame, rule: Rule) -> DataFrame:
 
 
 def homes(members: DataFrame, turn: int) -> DataFrame:
-    """``node, block``: the longest list of every set, salted so that a block has about ``BLOCK`` sets at most."""
-    best = members.groupBy("node").agg(F.max(F.struct("c", "list")).alias("b")).select("node", F.col("b.list").alias("list"))
+    """``node, block``. Sets whose lists overlap meet: each takes the longest list that it comes to over ``HOPS`` sets between. The
+    sets of a list so taken are salted over blocks of about ``BLOCK``."""
+    best = members.groupBy("node").agg(F.max(F.struct("c", "list")).alias("b"))
+    for _ in range(HOPS):
+        lists = members.select("node", "list").join(best, "node").groupBy("list").agg(F.max("b").alias("b"))
+        best = members.select("node", "list").join(lists, "list").groupBy("node").agg(F.max("b").alias("b"))
+    best = best.select("node", F.col("b.list").alias("list"))
     sizes = best.groupBy("list").agg(F.ceil(F.count("*") / BLOCK).alias("parts"))
     salt = F.pmod(F.xxhash64(F.lit(turn), "node"), F.col("parts"))
     return best.join(sizes, "list").select("node", F.xxhash64("list", salt).alias("block"))
