@@ -59,6 +59,9 @@ def test_all_methods_agree(seed):
                 d = sorted(K.definition_factors(v[a:b], m))
                 assert sorted(K.heap_factors(v[a:b], m)) == d == K.scan_factors(v[a:b], m)
                 assert b == a or sorted(K.split_factors(v[a:b], np.array([0, b - a]), m)) == d
+                # the list of waiting peaks ascends, and a factor makes no new peak but behind it: asserted inside
+                assert K.scan_factors(v[a:b], m, check=True) == d and K.preliminary_factors(v[a:b], m) == d
+                assert K.cut_factors(v[a:b], np.array([0, b - a]), m) == d
                 want += [(i + a, n) for i, n in d]
             assert got == want
         for i in np.flatnonzero(lpf).tolist():
@@ -172,3 +175,32 @@ def test_window_keeps_all_places():
     t = [*b"abcXYZW"] + [x for _ in range(100) for x in (*b"abc", 300 + rng.randrange(1000))] + [*b"abcXYZW"]
     got = K.window_parse(np.array(t, np.int64), 1024, 3)
     assert got[-1] == (len(t) - 7, 0, 7)
+
+
+def test_baselines_agree():
+    """The parse through the array, by blocks and in memory have the same phrases; sources are earlier and equal."""
+    random.seed(9)
+    for _ in range(150):
+        w = [random.randint(0, random.choice([0, 1, 3])) for _ in range(random.randint(0, 40))]
+        w = (w * random.randint(1, 4))[: random.randint(0, 90)]
+        t = np.array(w, np.int64)
+        first = np.array([0, len(w)])
+        s = K.Suffixes(t, first)
+        lpf, _ = s.previous_factors()
+        step, want, i = np.where(lpf >= 2, lpf, 1), [], 0
+        while i < len(w):
+            want.append((i, int(step[i])))
+            i += int(step[i])
+        assert K.greedy_parse(step, first, 4).tolist() == [i for i, _ in want]
+        for got in (K.scan_parse(t, 5, 2), K.scan_parse(t, 64, 2), K.memory_parse(s, 2)):
+            assert [(i, n) for i, _, n in got] == want
+            assert all(j < 0 or (j < i and w[j : j + n] == w[i : i + n]) for i, j, n in got)
+
+
+def test_jumps_in_order_are_no_slower():
+    random.seed(4)
+    for _ in range(60):
+        p = np.array([random.randint(0, i) for i in range(50)])
+        root, rounds = K.resolve(p.copy())
+        assert K.resolve_in_order(p) <= rounds <= max(0, int(K.depths(p).max()) - 1).bit_length() and not len(K.unresolved(p))
+    assert K.unresolved(np.array([1, 0, 2, 0])).tolist() == [0, 1, 3]

@@ -1,9 +1,11 @@
 import random
 
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
 from textfactor import workloads
+from textfactor.functions import kernels as K
 from textfactor.operators import arrays, coding, compact, decode, factorize, graph, measures, reuse
 from textfactor.operators.global_text import GlobalText
 from textfactor.plans import checks
@@ -159,3 +161,38 @@ def test_plans(spark, tmp_path, texts):
     f = coding.encode(factorize.factorize(texts), texts)
     checks.assert_no_cartesian(graph.dependency_edges(f))
     checks.assert_no_cartesian(decode.advance(decode.make_tiles(f), decode.make_tiles(f)))
+
+
+def test_one_text_over_the_cluster(spark, monkeypatch):
+    """Arrays, both parses and the coding of one text in many cells and partitions equal the kernels'."""
+    from textfactor.operators import global_text
+
+    monkeypatch.setattr(global_text, "CELL", 64)
+    monkeypatch.setattr(global_text, "PACK", 3)
+    random.seed(3)
+    part = "".join(random.choices("ab", k=200))
+    t = part[:150] + part[20:120] + part + "".join(random.choices(["the ", "fox "], k=20)) + "a" * 90
+    blocks = spark.createDataFrame([(i + 1, t[i : i + 37]) for i in range(0, len(t), 37)], "start long, body string")
+    g = global_text.GlobalText(blocks)
+    x = K.symbols_of(t)
+    s = K.Suffixes(x, np.array([0, len(x)]))
+    phi = s.phi()
+    d, n = K.rounds_factors(s.plcp(phi), np.array([0, len(x)]), 2)
+    refs = g.factors(2)
+    assert sorted(map(tuple, refs.select("dst", "len", "src").collect())) == sorted(zip((d + 1).tolist(), n.tolist(), (phi[d] + 1).tolist()))
+    lpf, src = s.previous_factors()
+    assert {r["pos"]: (r["lpf"], r["src"]) for r in g.previous_factors().collect()} == {i + 1: (int(lpf[i]), int(src[i]) + 1 if lpf[i] else None) for i in range(len(x))}
+    step = np.where(lpf >= 2, lpf, 1)
+    at = K.greedy_parse(step, np.array([0, len(x)]), 16)
+    want = [(int(a) + 1, int(step[a]), int(src[a]) + 1) for a in at if step[a] >= 2]
+    assert sorted(map(tuple, g.unidirectional(2).collect())) == want
+    f = coding.encode_blocks(refs, blocks, 50).withColumn("text_id", F.lit(0))
+    assert decode.decode_copies(f)[0].first()["text"] == t
+    assert sum(r["len"] for r in f.collect()) == len(t)
+
+
+def test_circles_are_found(spark):
+    rows = [(1, 1, 1, 2, 3, None), (1, 2, 3, 2, 1, None), (2, 1, 1, 2, None, "ab"), (2, 2, 3, 2, 1, None), (3, 1, 1, 1, None, "a"), (3, 2, 2, 3, 9, None)]
+    f = spark.createDataFrame(rows, "text_id long, factor_no long, dst long, len long, src long, literal string")
+    texts = spark.createDataFrame([(1, "abab"), (2, "abab"), (3, "aaaa"), (4, "")], "text_id long, text string")
+    assert {r["text_id"]: r["resolves"] for r in coding.validate(f, texts).collect()} == {1: False, 2: True, 3: False, 4: True}

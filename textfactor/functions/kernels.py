@@ -8,7 +8,7 @@ independent, so a batch of many small texts costs as few NumPy calls as one larg
 from __future__ import annotations
 
 import heapq
-from bisect import bisect_right
+from bisect import bisect_left, bisect_right
 
 import numpy as np
 
@@ -308,21 +308,21 @@ def heap_factors(plcp: np.ndarray, min_len: int, tie: str = "leftmost") -> list[
 def split_factors(plcp: np.ndarray, first: np.ndarray, min_len: int) -> list[tuple[int, int]]:
     """By segments: the leftmost highest candidate of a segment is a factor, the parts on its two sides are segments again."""
     steps = reach_steps(plcp, first)
-    reach = (steps + plcp[steps]).tolist()
-    steps = steps.tolist()
-    import bisect
+    return _split(plcp.tolist(), steps.tolist(), (steps + plcp[steps]).tolist(), [(0, len(plcp))], min_len)
 
-    out, todo = [], [(0, len(plcp))]
+
+def _split(v: list[int], steps: list[int], reach: list[int], todo: list[tuple[int, int]], min_len: int) -> list[tuple[int, int]]:
+    out = []
     while todo:
         low, high = todo.pop()
         if high - low < min_len:
             continue
-        a, b = bisect.bisect_left(steps, low), bisect.bisect_left(steps, high)
-        best, at = min(int(plcp[low]), high - low), low
+        a, b = bisect_left(steps, low), bisect_left(steps, high)
+        best, at = min(v[low], high - low), low
         for k in range(a, b):
-            v = min(reach[k], high) - steps[k]
-            if v > best:
-                best, at = v, steps[k]
+            w = min(reach[k], high) - steps[k]
+            if w > best:
+                best, at = w, steps[k]
         if best >= min_len:
             out.append((at, best))
             todo.append((low, at))
@@ -330,12 +330,49 @@ def split_factors(plcp: np.ndarray, first: np.ndarray, min_len: int) -> list[tup
     return out
 
 
-def scan_factors(plcp: np.ndarray, min_len: int, stats: dict | None = None) -> list[tuple[int, int]]:
+def cut_factors(plcp: np.ndarray, first: np.ndarray, min_len: int) -> list[tuple[int, int]]:
+    """One parallel round of all maximal peaks, which cuts the text into short segments, then the segments by splitting."""
+    steps = reach_steps(plcp, first)
+    reach = steps + plcp[steps]
+    tall = reach - steps >= min_len
+    pos, high = steps[tall], reach[tall]
+    if not len(pos):
+        return []
+    top = maximal_peaks(pos, high)
+    d, e = pos[top], high[top]
+    segments = list(zip(np.append(0, e).tolist(), np.append(d, len(plcp)).tolist()))
+    return sorted(list(zip(d.tolist(), (e - d).tolist())) + _split(plcp.tolist(), steps.tolist(), reach.tolist(), segments, min_len))
+
+
+def preliminary_factors(plcp: np.ndarray, min_len: int) -> list[tuple[int, int]]:
+    """By recursion: the leftmost maximal peak of a segment is a factor, the parts on its two sides are segments again."""
+    out, todo = [], [(0, len(plcp))]
+    while todo:
+        low, high = todo.pop()
+        if high - low < min_len:
+            continue
+        reach = np.minimum(np.arange(low, high) + plcp[low:high], high)
+        tall = np.flatnonzero(reach - np.arange(low, high) >= min_len)
+        grow = np.ones(len(tall), bool)
+        grow[1:] = reach[tall[1:]] > np.maximum.accumulate(reach[tall])[:-1]
+        pos = tall[grow] + low
+        if not len(pos):
+            continue
+        first = maximal_peaks(pos, reach[pos - low])[0]
+        d, e = int(pos[first]), int(reach[pos[first] - low])
+        out.append((d, e - d))
+        todo += [(low, d), (e, high)]
+    return sorted(out)
+
+
+def scan_factors(plcp: np.ndarray, min_len: int, stats: dict | None = None, check: bool = False) -> list[tuple[int, int]]:
     """One left-to-right pass that keeps interesting peaks only.
 
-    A stack holds (position, value) of all peaks that still reach over the current position, for the interest test; the
-    list holds the interesting ones that wait. When the next interesting peak starts behind the last one of the list, that
-    one is maximal: it and the waiting peaks before it are settled, and what follows starts anew.
+    A stack holds (position, value) of all peaks that still reach over the current position, for the interest test; the list
+    holds the interesting ones that wait, whose values ascend. When the scan leaves the reach of the last one it is maximal and
+    a factor. Then the list is settled from its right end: of the peaks that the new factor clips only the first can stay
+    interesting; the rightmost maximal peak becomes a factor, which clips in turn, and the one position that may become a peak
+    is the one behind it. ``check`` asserts the two facts this rests on, against all values.
     """
     n = len(plcp)
     v = plcp.tolist()
@@ -345,33 +382,38 @@ def scan_factors(plcp: np.ndarray, min_len: int, stats: dict | None = None) -> l
     longest = 0
     i, fresh = 0, True
 
-    def settle(low: int, high: int) -> None:
-        """All factors of [low, high), which has no candidates but the waiting ones and ``low``."""
-        todo = [(low, high, [x for x in waiting])]
-        while todo:
-            a, b, cand = todo.pop()
-            if b - a < min_len:
-                continue
-            best, at = min(v[a], b - a), a
-            for p, _ in cand:
-                w = min(v[p], b - p)
-                if w > best:
-                    best, at = w, p
-            if best >= min_len:
-                out.append((at, best))
-                todo.append((a, at, [x for x in cand if x[0] < at]))
-                todo.append((at + best, b, [x for x in cand if x[0] >= at + best]))
-
-    low = 0
+    def settle(high: int) -> None:
+        """Factors of the waiting peaks before ``high``, where a factor starts."""
+        while waiting:
+            clipped = len(waiting)
+            while clipped and waiting[clipped - 1][0] + waiting[clipped - 1][1] >= high:
+                clipped -= 1
+            del waiting[clipped + 1 :]
+            j, size = waiting.pop()
+            size = min(size, high - j)
+            if waiting and waiting[-1][1] >= size:
+                j, size = waiting.pop()
+            end = j + size
+            if size >= min_len:
+                out.append((j, size))
+                if high - end >= min_len and v[end] >= min_len:
+                    out.append((end, min(v[end], high - end)))
+                high = j
+
+    def ascending() -> None:
+        values = [w for _, w in waiting]
+        assert all(x < y for x, y in zip(values, values[1:])), "values of the waiting peaks ascend"
+
     while i <= n:
         # the waiting peak that nothing interesting follows within its reach
         if waiting and (i == n or i >= waiting[-1][0] + waiting[-1][1]):
+            if check:
+                ascending()
             p, size = waiting.pop()
             out.append((p, size))
-            settle(low, p)
-            waiting.clear()
+            settle(p)
             stack.clear()
-            i = low = p + size
+            i = p + size
             fresh = True
             continue
         if i == n:
@@ -390,19 +432,51 @@ def scan_factors(plcp: np.ndarray, min_len: int, stats: dict | None = None) -> l
         i += 1
     if stats is not None:
         stats["longest_list"] = longest
-    return sorted(out)
+    out.sort()
+    if check:
+        _no_new_peaks(plcp, out, min_len)
+    return out
 
 
-def greedy_parse(step: np.ndarray, first: np.ndarray) -> np.ndarray:
-    """Start positions of the phrases when each phrase at i has ``max(1, step[i])`` symbols."""
-    out: list[int] = []
-    jump = np.maximum(1, step).tolist()
-    for a, b in zip(first[:-1].tolist(), first[1:].tolist()):
-        i = a
-        while i < b:
-            out.append(i)
-            i += jump[i]
-    return np.array(out, np.int64)
+def _peaks_of(v: np.ndarray, min_len: int) -> set[int]:
+    return set(np.flatnonzero((v >= min_len) & (np.concatenate([[True], v[1:] > v[:-1]]) if len(v) else v > 0)).tolist())
+
+
+def _no_new_peaks(plcp: np.ndarray, factors: list[tuple[int, int]], min_len: int) -> None:
+    """Replacing a factor makes no position a peak but the one behind it."""
+    v = plcp.copy()
+    for d, size in sorted(factors, key=lambda f: (-f[1], f[0])):
+        before = _peaks_of(v, min_len)
+        a = max(0, d - int(plcp.max()))
+        v[a:d] = np.minimum(v[a:d], d - np.arange(a, d))
+        v[d : d + size] = 0
+        assert _peaks_of(v, min_len) <= before | {d + size}, "a new peak"
+
+
+def greedy_parse(step: np.ndarray, first: np.ndarray, block: int = 256) -> np.ndarray:
+    """Start positions of the phrases when each phrase at i has ``max(1, step[i])`` symbols and none leaves its text.
+
+    Every position's first phrase start behind its block is found by doubling; the path then takes a block a step, and the
+    phrases inside all blocks are followed side by side.
+    """
+    n = len(step)
+    nxt = np.arange(n) + np.maximum(1, step)
+    border = np.minimum((np.arange(n) // block + 1) * block, n)
+    leave = nxt.copy()
+    todo = np.flatnonzero(leave < border)
+    while len(todo):
+        leave[todo] = leave[leave[todo]]
+        todo = todo[leave[todo] < border[todo]]
+    at, i, hop = [], 0, leave.tolist()
+    while i < n:
+        at.append(i)
+        i = hop[i]
+    now, out = np.array(at, np.int64), []
+    while len(now):
+        out.append(now)
+        ahead = nxt[now]
+        now = ahead[ahead < border[now]]
+    return np.sort(np.concatenate(out)) if out else np.zeros(0, np.int64)
 
 
 def window_parse(t: np.ndarray, window: int, min_len: int) -> list[tuple[int, int, int]]:
@@ -487,27 +561,71 @@ def _extend(data: bytes, a: int, b: int, k: int, top: int) -> int:
     return k
 
 
+def _against(piece: np.ndarray, block: np.ndarray, count: int, starts: int) -> tuple[np.ndarray, np.ndarray]:
+    """For the first ``count`` positions of ``block``: their longest match with one of the first ``starts`` positions of ``piece``."""
+    kinds = np.unique(np.concatenate([piece, block]), return_inverse=True)[1].astype(np.int64) + 1
+    t = np.concatenate([kinds[: len(piece)], [0], kinds[len(piece) :]])
+    s = Suffixes(t, np.array([0, len(t)]))
+    slot = np.arange(len(t))
+    ours = s.order < starts
+    shift = len(piece) + 1
+    size, src = np.zeros(count, np.int64), np.full(count, -1, np.int64)
+    for direction in (1, -1):
+        o, mine = s.order[::direction], ours[::direction]
+        near = np.maximum.accumulate(np.where(mine, slot, -1))
+        at = np.flatnonzero((o >= shift) & (o < shift + count) & (near >= 0))
+        i, j = o[at], o[near[at]]
+        got = np.minimum(s.common(i, j), len(piece) - j)
+        better = (got > size[i - shift]) | ((got == size[i - shift]) & (got > 0) & (j < src[i - shift]))
+        size[i[better] - shift], src[i[better] - shift] = got[better], j[better]
+    return size, src
+
+
 def scan_parse(t: np.ndarray, block: int, min_len: int) -> list[tuple[int, int, int]]:
-    """Unidirectional greedy parse that reads the text block by block and matches against all earlier text by searching it."""
-    data = t.astype(">i4").tobytes()
+    """Unidirectional greedy parse by blocks: the longest earlier match of all positions of a block is found by passing all the
+    text before it, a block at a time, so no array is longer than a few blocks; the passes make it quadratic in the text.
+
+    Blocks are read with ``ahead`` symbols behind them. A phrase that long may go on, so its block is passed again with twice as many.
+    """
     n, i, out = len(t), 0, []
+    for a in range(0, n, block):
+        b, ahead = min(a + block, n), block
+        while i < b:
+            mine = t[a : min(b + ahead, n)]
+            best, src = (x[: b - a].copy() for x in Suffixes(mine, np.array([0, len(mine)])).previous_factors())
+            src[src >= 0] += a
+            for c in range(0, a, block):
+                size, at = _against(t[c : min(c + block + ahead, n)], mine, b - a, min(block, a - c))
+                better = size > best
+                best[better], src[better] = size[better], at[better] + c
+            while i < b and (best[i - a] < ahead or ahead >= n):
+                size, at = (int(best[i - a]), int(src[i - a])) if best[i - a] >= min_len else (1, -1)
+                out.append((i, at, size))
+                i += size
+            ahead *= 2
+    return out
 
-    def find(k: int) -> int:
-        at, want = -1, data[4 * i : 4 * (i + k)]
-        while True:
-            at = data.find(want, at + 1, 4 * (i + k - 1))
-            if at < 0 or at % 4 == 0:
-                return at // 4 if at >= 0 else -1
 
+def memory_parse(s: Suffixes, min_len: int) -> list[tuple[int, int, int]]:
+    """Unidirectional greedy parse of one text that is kept in memory: the smaller neighbours in suffix order are found for
+    all positions, but symbols are compared at the starts of phrases only, so no array of lengths is made."""
+    n, i, out = s.n, 0, []
+    data = s.t.astype(np.int32).tobytes()
+    sides = []
+    for direction in (1, -1):
+        o = s.order[::direction]
+        near = _nearest_smaller(o, s.text[o])
+        src = np.full(n, -1, np.int64)
+        src[o[near >= 0]] = o[near[near >= 0]]
+        sides.append(src)
     while i < n:
-        best, src, size = 0, -1, min_len
-        while i + size <= n and (at := find(size)) >= 0:
-            best, src = size, at
-            while i + best < n and t[src + best] == t[i + best]:
-                best += 1
-            size = best + 1
-        out.append((i, src, max(1, best)))
-        i += max(1, best)
+        size, at = 1, -1
+        for j in sorted({int(x[i]) for x in sides if x[i] >= 0}):
+            got = _extend(data, j, i, 0, n - i)
+            if got >= min_len and got > (size if at >= 0 else 0):
+                size, at = got, j
+        out.append((i, at, size))
+        i += size
     return out
 
 
@@ -529,21 +647,50 @@ def bwt_run_parse(s: Suffixes) -> tuple[np.ndarray, np.ndarray]:
 def resolve(parent: np.ndarray) -> tuple[np.ndarray, int]:
     """Follow parents to the roots (``parent[i] == i``) by doubling; the roots and the number of rounds."""
     rounds, limit = 0, int(len(parent)).bit_length() + 2
+    root = parent == np.arange(len(parent))
     while True:
         nxt = parent[parent]
         if (nxt == parent).all():
+            if not root[parent].all():  # doubling turns a circle of 2**k positions into positions that stand still
+                raise ValueError("the references run in a circle")
             return parent, rounds
         parent, rounds = nxt, rounds + 1
         if rounds > limit:
             raise ValueError("the references run in a circle")
 
 
+def resolve_in_order(parent: np.ndarray) -> int:
+    """Rounds of pointer jumping when positions are taken from left to right and see what the round has moved already."""
+    p, rounds, limit = parent.tolist(), 0, int(len(parent)).bit_length() + 2
+    while True:
+        moved = False
+        for i, q in enumerate(p):
+            if p[q] != q:
+                p[i], moved = p[q], True
+        if not moved:
+            return rounds
+        rounds += 1
+        if rounds > limit:
+            raise ValueError("the references run in a circle")
+
+
+def unresolved(parent: np.ndarray) -> np.ndarray:
+    """Positions that never come to a root: they lie on a circle or lead to one."""
+    root = parent == np.arange(len(parent))
+    for _ in range(int(len(parent)).bit_length() + 1):
+        parent = parent[parent]
+    return np.flatnonzero(~root[parent])
+
+
 def depths(parent: np.ndarray) -> np.ndarray:
     """Number of steps from every position to its root."""
-    hops = (parent != np.arange(len(parent))).astype(np.int64)
+    root = parent == np.arange(len(parent))
+    hops = (~root).astype(np.int64)
     p = parent.copy()
     for _ in range(int(len(p)).bit_length() + 2):
         if (p[p] == p).all():
+            if not root[p].all():
+                break
             return hops
         hops, p = hops + hops[p], p[p]
     raise ValueError("the references run in a circle")
@@ -553,12 +700,12 @@ def char_parents(n: int, dst: np.ndarray, src: np.ndarray, size: np.ndarray) ->
     """The parent position of every position; literals are their own."""
     p = np.arange(n)
     if len(dst):
-        at = np.repeat(dst, size) + _ramp(size)
-        p[at] = np.repeat(src, size) + _ramp(size)
+        at = np.repeat(dst, size) + ramp(size)
+        p[at] = np.repeat(src, size) + ramp(size)
     return p
 
 
-def _ramp(size: np.ndarray) -> np.ndarray:
+def ramp(size: np.ndarray) -> np.ndarray:
     total = int(size.sum())
     return np.arange(total) - np.repeat(np.cumsum(size) - size, size)
 

@@ -2,9 +2,11 @@
 
 from __future__ import annotations
 
+import math
+
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame, Observation, Window
 from pyspark.sql import functions as F
 
 from textfactor.functions import kernels as K
@@ -67,6 +69,13 @@ def _on_grid(tiles: DataFrame, width: int) -> DataFrame:
     return cut.select("text_id", "bucket", a.alias("p_dst"), (F.col("src") + a - F.col("dst")).alias("p_src"), (b - a).alias("p_len"), F.col("final").alias("p_final"))
 
 
+def grid_width(tiles: DataFrame) -> int:
+    """A grid for overlap joins: four mean lengths wide, so tiles are cut to at most a quarter more pieces however long they
+    are, and a bucket holds few of them."""
+    mean = tiles.agg(F.avg("len")).first()[0] or 1.0
+    return max(WIDTH, 1 << math.ceil(math.log2(4 * mean)))
+
+
 def advance(requests: DataFrame, parents: DataFrame, width: int = WIDTH) -> DataFrame:
     """One round: every request is moved to the sources of the tiles that hold its own source, and split where they end."""
     r = requests.withColumn("bucket", buckets("src", "len", width))
@@ -89,11 +98,12 @@ def coalesce_pieces(tiles: DataFrame, stretch: int = 1 << 14) -> DataFrame:
     return t.groupBy("text_id", "part", "final", "run").agg(F.min("dst").alias("dst"), F.min("src").alias("src"), F.sum("len").alias("len")).select("text_id", "dst", "src", "len", "final")
 
 
-def jump(factors: DataFrame, double: bool = True, merge: bool = True, width: int = WIDTH) -> tuple[DataFrame, list[dict]]:
+def jump(factors: DataFrame, double: bool = True, merge: bool = True, width: int | None = None) -> tuple[DataFrame, list[dict]]:
     """Final tiles, whose sources are literals only, and what each round did.
 
     ``double``: requests are moved through the tiles of the round before, so distances double; otherwise always through
-    the first ones, one step a round. Each round is written; one row of counts comes to the driver.
+    the first ones, one step a round. Each round is written; one row of counts comes to the driver: of the requests of a round,
+    the pieces that it finalized, and how many pieces splitting added.
     """
     scratch = Scratch(factors.sparkSession, "jump")
     start = scratch.save(make_tiles(factors), "tiles")
@@ -103,11 +113,17 @@ def jump(factors: DataFrame, double: bool = True, merge: bool = True, width: int
         n = open_.count()
         if not n:
             return tiles, rounds
-        moved = advance(open_, tiles if double else start, width)
+        parents = tiles if double else start
+        seen = Observation()
+        moved = advance(open_, parents, width or grid_width(parents)).observe(
+            seen, F.count(F.lit(1)).alias("made"), F.count_if("final").alias("finalized")
+        )
         new = tiles.where("final").unionByName(moved)
         new = scratch.save(coalesce_pieces(new) if merge else new, "tiles")
         got = new.agg(F.count("*").alias("pieces"), F.count_if(~F.col("final")).alias("open")).first()
-        rounds.append({"round": k + 1, "requests": n, "still_open": got["open"], "pieces": got["pieces"]})
+        rounds.append(
+            {"round": k + 1, "requests": n, "finalized": seen.get["finalized"], "split": seen.get["made"] - n, "still_open": got["open"], "pieces": got["pieces"]}
+        )
         if old is not None:
             scratch.drop(old)
         old = new
@@ -115,19 +131,56 @@ def jump(factors: DataFrame, double: bool = True, merge: bool = True, width: int
     raise ValueError("the references run in a circle")
 
 
-def assemble(tiles: DataFrame, factors: DataFrame, width: int = WIDTH) -> DataFrame:
+def assemble(tiles: DataFrame, factors: DataFrame, width: int | None = None) -> DataFrame:
     """``text_id, text`` of final tiles: cut their sources out of the literals and put the pieces in order."""
+    return in_one(decoded_pieces(tiles, factors, width))
+
+
+def in_one(pieces: DataFrame) -> DataFrame:
+    """``text_id, text`` of the pieces ``(text_id, at, piece)`` of each text; for texts that fit a task."""
+    return pieces.groupBy("text_id").agg(F.array_sort(F.collect_list(F.struct("at", "piece"))).alias("x")).select(
+        "text_id", F.array_join(F.transform("x", lambda p: p["piece"]), "").alias("text")
+    )
+
+
+def decoded_pieces(tiles: DataFrame, factors: DataFrame, width: int | None = None) -> DataFrame:
+    """``text_id, at, piece`` of final tiles, cut out of the literals; the pieces cover the texts."""
+    width = width or grid_width(factors.where("src IS NULL"))
     lit = factors.where("src IS NULL").select("text_id", F.col("dst").alias("l_dst"), F.col("len").alias("l_len"), "literal", buckets("dst", "len", width).alias("bucket"))
     t = tiles.withColumn("bucket", buckets("src", "len", width))
     start = F.greatest("src", "l_dst", F.col("bucket") * width)
     end = F.least(F.col("src") + F.col("len"), F.col("l_dst") + F.col("l_len"), (F.col("bucket") + 1) * width)
-    cut = t.join(lit, ["text_id", "bucket"]).where(start < end).select(
+    return t.join(lit, ["text_id", "bucket"]).where(start < end).select(
         "text_id", (F.col("dst") + start - F.col("src")).alias("at"),
         F.substring("literal", (start - F.col("l_dst") + 1).cast("int"), (end - start).cast("int")).alias("piece"),
     )
-    return cut.groupBy("text_id").agg(F.array_sort(F.collect_list(F.struct("at", "piece"))).alias("x")).select(
-        "text_id", F.array_join(F.transform("x", lambda p: p["piece"]), "").alias("text")
-    )
+
+
+def decode_copies(factors: DataFrame) -> tuple[DataFrame, list[dict]]:
+    """``text_id, text`` with recorded copies, and what each round did.
+
+    The decoded part of the text is kept as strings. In a round, what of a request's source is decoded already is recorded as a
+    copy and cut out of it at the end of the round; the rest jumps to the sources of the references that hold it. So a copy may
+    come from any decoded symbols, not from literals only.
+    """
+    scratch = Scratch(factors.sparkSession, "copies")
+    done = scratch.save(factors.where("src IS NULL").select("text_id", F.col("dst").alias("at"), "literal"), "decoded")
+    open_ = scratch.save(make_tiles(factors.where("src IS NOT NULL")), "requests")
+    rounds = []
+    for k in range(MAX_ROUNDS):
+        n = open_.count()
+        if not n:
+            return in_one(done.select("text_id", "at", F.col("literal").alias("piece"))), rounds
+        known = done.select("text_id", F.col("at").alias("dst"), F.length("literal").cast("long").alias("len"), F.lit(None).cast("long").alias("src"), "literal")
+        width = grid_width(open_)
+        copied = scratch.save(decoded_pieces(open_, known, width).withColumnRenamed("piece", "literal"), "copies")
+        moved = scratch.save(coalesce_pieces(advance(open_, open_, width)), "requests")
+        rounds.append({"round": k + 1, "requests": n, "copies": copied.count()})
+        new = scratch.save(done.unionByName(copied), "decoded")
+        for x in (done, open_, copied):
+            scratch.drop(x)
+        done, open_ = new, moved
+    raise ValueError("the references run in a circle")
 
 
 def decode_jump(factors: DataFrame, double: bool = True, merge: bool = True) -> DataFrame:
@@ -135,9 +188,25 @@ def decode_jump(factors: DataFrame, double: bool = True, merge: bool = True) ->
 
 
 def jump_rounds(factors: DataFrame, double: bool = True, merge: bool = True) -> DataFrame:
-    """``round, requests, still_open, pieces``."""
-    rows = [(r["round"], r["requests"], r["still_open"], r["pieces"]) for r in jump(factors, double, merge)[1]]
-    return factors.sparkSession.createDataFrame(rows, "round int, requests long, still_open long, pieces long")
+    """``round, requests, finalized, split, still_open, pieces``."""
+    names = ["round", "requests", "finalized", "split", "still_open", "pieces"]
+    rows = [tuple(r[c] for c in names) for r in jump(factors, double, merge)[1]]
+    return factors.sparkSession.createDataFrame(rows, "round int, " + ", ".join(f"{c} long" for c in names[1:]))
+
+
+def order_of_jumps(factors: DataFrame) -> DataFrame:
+    """``text_id, parallel, in_order``: rounds of pointer jumping over symbols when all of a round see the state before it, and when
+    they are taken in text order and see what was moved already."""
+
+    def kernel(bounds, dst, size, src, literal):
+        out = []
+        for u, v in zip(bounds[:-1].tolist(), bounds[1:].tolist()):
+            parent, _ = batch_parents(np.array([0, v - u]), dst[u:v], size[u:v], src[u:v])
+            out.append((K.resolve(parent)[1], K.resolve_in_order(parent)))
+        a, b = zip(*out) if out else ((), ())
+        return np.array(a, np.int64), np.array(b, np.int64)
+
+    return nested_kernel(factors, "text_id {id}, parallel long, in_order long", kernel)
 
 
 def decode_chars(factors: DataFrame, direct_first: bool = False) -> DataFrame:

@@ -17,6 +17,8 @@ from textfactor.operators.runner import per_batch
 METHODS = {
     "rounds": "all maximal peaks of a round at once, over the whole batch",
     "peaks": "one left-to-right pass with a list of waiting peaks",
+    "cut": "all maximal peaks of one round, then the segments between them",
+    "preliminary": "the leftmost maximal peak of a segment, then its two sides",
     "segments": "leftmost highest candidate of a segment, then its two sides",
     "heap": "a heap by length, then position",
     "definition": "the mutable array of the definition",
@@ -46,6 +48,10 @@ def factorize(texts: DataFrame, min_len: int = 2, method: str = "rounds", unit:
                     got = K.split_factors(part, whole, min_len) if b > a else []
                 elif method == "peaks":
                     got = K.scan_factors(part, min_len)
+                elif method == "cut":
+                    got = K.cut_factors(part, whole, min_len)
+                elif method == "preliminary":
+                    got = K.preliminary_factors(part, min_len)
                 else:
                     got = K.definition_factors(part, min_len)
                 found += sorted((i + a, k) for i, k in got)
@@ -62,24 +68,23 @@ def _references(s, first, dst, size, src):
 
 
 def parse_unidirectional(texts: DataFrame, min_len: int = 2, method: str = "lpf", unit: str = "codepoint", block: int = 1 << 12) -> DataFrame:
-    """Greedy parse with earlier sources: through the longest-previous-factor array, or by searching the text block by block."""
+    """Greedy parse with earlier sources: through the longest-previous-factor array; ``scan``: by passing the text before each block;
+    ``memory``: comparing symbols of a text in memory at the starts of phrases only."""
+    if method == "scan":
+        return _one_by_one(texts, lambda t: K.scan_parse(t, block, min_len), unit)
+    if method == "memory":
+        return _one_by_one(texts, lambda t: K.memory_parse(K.Suffixes(t, np.array([0, len(t)])), min_len), unit)
+    if method != "lpf":
+        raise ValueError(f"unknown method: {method}")
 
     def kernel(strings, t, first):
         s = K.Suffixes(t, first)
-        if method == "lpf":
-            size, src = s.previous_factors()
-            size = np.where(size >= min_len, size, 1)
-            at = K.greedy_parse(size, first)
-            at = at[size[at] >= min_len]
-            return _references(s, first, at, size[at], src[at])
-        found = []
-        for a, b in zip(first[:-1].tolist(), first[1:].tolist()):
-            found += [(i + a, k, j + a) for i, j, k in K.scan_parse(t[a:b], block, min_len) if j >= 0]
-        dst, size, src = np.array(found, np.int64).reshape(-1, 3).T
-        return _references(s, first, dst, size, src)
-
-    if method not in ("lpf", "scan"):
-        raise ValueError(f"unknown method: {method}")
+        size, src = s.previous_factors()
+        size = np.where(size >= min_len, size, 1)
+        at = K.greedy_parse(size, first)
+        at = at[size[at] >= min_len]
+        return _references(s, first, at, size[at], src[at])
+
     return per_batch(texts, schemas.REFERENCES, kernel, unit)
 
 

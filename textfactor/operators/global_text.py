@@ -16,6 +16,7 @@ from textfactor.functions import kernels as K
 from textfactor.plans.scratch import Scratch
 
 CELL = 1 << 14
+PACK = 1 << 14
 
 
 def _codes(text: str) -> np.ndarray:
@@ -84,35 +85,40 @@ def _sorted_scan(df: DataFrame, keys: list[str], schema: str, scan) -> DataFrame
 
 def _ranked(df: DataFrame, scratch: Scratch) -> DataFrame:
     """``pos, rank, alone`` of ``pos, old, a``: old rank plus the number of rows of the same old rank with a smaller ``a``."""
+    names = ["part", "pos", "old", "start", "row", "alone"]
 
     def scan(part, it):
-        last_old = last_pair = None
-        group = start = 0
-        held = None  # the last row waits for the next one to know whether it is alone
+        held = None  # pos, old, a, start, row, fresh of the last row, which waits for the next one to know whether it is alone
         for b in it:
-            pos, old, a = (b.column(i).to_numpy() for i in range(3))
-            out = []
-            for p, o, x in zip(pos.tolist(), old.tolist(), a.tolist()):
-                if o != last_old:
-                    group = 0
-                fresh = (o, x) != last_pair
-                if fresh:
-                    start = group
-                if held is not None:
-                    out.append((*held[:4], held[4] and fresh))
-                held = (p, o, start, group, fresh)
-                group += 1
-                last_old, last_pair = o, (o, x)
-            cols = list(zip(*out)) or [()] * 5
-            yield _batch(part, cols)
+            pos, old, x = (b.column(i).to_numpy() for i in range(3))
+            if not len(pos):
+                continue
+            n = len(pos)
+            opens, fresh = np.ones(n, bool), np.ones(n, bool)
+            opens[1:] = old[1:] != old[:-1]
+            fresh[1:] = opens[1:] | (x[1:] != x[:-1])
+            if held is not None:
+                opens[0] = old[0] != held[1]
+                fresh[0] = opens[0] or x[0] != held[2]
+            at = np.arange(n)
+            group = np.maximum.accumulate(np.where(opens, at, -1))
+            row = np.where(group >= 0, at - group, at + (held[4] + 1 if held is not None else 0))
+            pair = np.maximum.accumulate(np.where(fresh, at, -1))
+            start = np.where(pair >= 0, row[np.maximum(pair, 0)], held[3] if held is not None else 0)
+            alone = fresh.copy()
+            alone[:-1] &= fresh[1:]
+            cols = [pos[:-1], old[:-1], start[:-1], row[:-1], alone[:-1]]
+            if held is not None:
+                first = [held[0], held[1], held[3], held[4], held[5] and fresh[0]]
+                cols = [np.concatenate([[f], c]) for f, c in zip(first, cols)]
+            held = (pos[-1], old[-1], x[-1], start[-1], row[-1], bool(fresh[-1]))
+            yield out(part, cols)
         if held is not None:
-            yield _batch(part, list(zip((*held[:4], held[4]))))
+            yield out(part, [np.array([v]) for v in (held[0], held[1], held[3], held[4], held[5])])
 
-    def _batch(part, cols):
-        return pa.RecordBatch.from_arrays(
-            [pa.array(np.full(len(cols[0]), part, np.int32)), *(pa.array(c, pa.int64()) for c in cols[:4]), pa.array(cols[4], pa.bool_())],
-            ["part", "pos", "old", "start", "row", "alone"],
-        )
+    def out(part, cols):
+        arrays = [pa.array(np.full(len(cols[0]), part, np.int32)), *(pa.array(c.astype(np.int64)) for c in cols[:4]), pa.array(cols[4].astype(bool))]
+        return pa.RecordBatch.from_arrays(arrays, names)
 
     got = scratch.save(_sorted_scan(df.select("pos", "old", "a"), ["old", "a"], "part int, pos long, old long, start long, row long, alone boolean", scan), "ranked")
     ends = got.groupBy("part").agg(F.min("old").alias("first"), F.max(F.struct("old", "row")).alias("last")).orderBy("part").collect()
@@ -130,7 +136,11 @@ def _ranked(df: DataFrame, scratch: Scratch) -> DataFrame:
 
 
 class GlobalText:
-    """Arrays of one text given as blocks ``(start, body)``; tables are made when first asked for."""
+    """Arrays of one text given as blocks ``(start, body)``; tables are made when first asked for.
+
+    ``levels[k]``: ``pos, rank, alone`` of the positions that doubling round k worked on, those whose rank was not unique before. A
+    position that a level lacks had a unique rank already; so a level is written once and holds what changed only.
+    """
 
     def __init__(self, blocks: DataFrame):
         self.scratch = Scratch(blocks.sparkSession, "global")
@@ -142,21 +152,45 @@ class GlobalText:
 
     def _rank_all(self) -> None:
         s = self.scratch
-        now = s.save(_ranked(self.symbols.select("pos", F.lit(0).cast("long").alias("old"), F.col("key").alias("a")), s), "level")
-        self.levels.append(now.select("pos", "rank"))
+        self.levels.append(s.save(_ranked(self.symbols.select("pos", F.lit(0).cast("long").alias("old"), F.col("key").alias("a")), s), "level"))
         h = self.width
         for _ in range(64):
-            open_ = now.where("NOT alone")
+            open_ = self.levels[-1].where("NOT alone").select("pos", "rank")
             if not open_.limit(1).count():
-                self.ranks = now.select("pos", "rank")
+                self.ranks = self._unique()
                 return
-            ahead = now.select((F.col("pos") - h).alias("pos"), (F.col("rank") + 1).alias("r2"))
+            ahead = self._unique().unionByName(open_).select((F.col("pos") - h).alias("pos"), (F.col("rank") + 1).alias("r2"))
             pairs = open_.join(ahead, "pos", "left").select("pos", F.col("rank").alias("old"), F.coalesce("r2", F.lit(0)).alias("a"))
-            now = s.save(now.where("alone").unionByName(_ranked(pairs, s)), "level")
-            self.levels.append(now.select("pos", "rank"))
+            self.levels.append(s.save(_ranked(pairs, s), "level"))
             h *= 2
         raise RuntimeError("ranks did not settle")
 
+    def _unique(self) -> DataFrame:
+        """``pos, rank`` of the positions whose rank is unique by now."""
+        out = None
+        for level in self.levels:
+            mine = level.where("alone").select("pos", "rank")
+            out = mine if out is None else out.unionByName(mine)
+        return out
+
+    def common(self, pairs: DataFrame) -> DataFrame:
+        """``pairs(i, j, ...)`` with ``n``, the length of the common prefix of the suffixes at two different positions i and j."""
+        rest = [c for c in pairs.columns if c not in ("i", "j")]
+        now = pairs.withColumn("n", F.lit(0).cast("long"))
+        for k in range(len(self.levels) - 1, -1, -1):
+            level = self.levels[k].select("pos", "rank")
+            a = level.select(F.col("pos").alias("x"), F.col("rank").alias("ra"))
+            b = level.select(F.col("pos").alias("y"), F.col("rank").alias("rb"))
+            now = now.withColumn("x", F.col("i") + F.col("n")).withColumn("y", F.col("j") + F.col("n")).join(a, "x", "left").join(b, "y", "left")
+            more = F.when(F.col("ra") == F.col("rb"), self.width << k).otherwise(0)
+            now = self.scratch.save(now.select("i", "j", *rest, (F.col("n") + more).alias("n")), "common")
+        keys = self.symbols.select(F.col("pos").alias("x"), F.col("key").alias("ka"))
+        keys2 = keys.select(F.col("x").alias("y"), F.col("ka").alias("kb"))
+        now = now.withColumn("x", F.col("i") + F.col("n")).withColumn("y", F.col("j") + F.col("n")).join(keys, "x", "left").join(keys2, "y", "left")
+        same = sum((F.when(F.shiftright("ka", self.bits * j) == F.shiftright("kb", self.bits * j), 1).otherwise(0) for j in range(1, self.width)), F.lit(0))
+        more = F.when(F.col("ka").isNull() | F.col("kb").isNull(), 0).otherwise(same)
+        return now.select("i", "j", *rest, (F.col("n") + more).cast("long").alias("n"))
+
     def suffix_array(self) -> DataFrame:
         """``rank, pos``; the sentinel, rank 1, is left out."""
         return self.ranks.select((F.col("rank") + 2).alias("rank"), "pos")
@@ -170,19 +204,9 @@ class GlobalText:
         """``pos, phi, plcp`` where the symbols before position and neighbour differ, or one has none."""
         sym = self.symbols.select((F.col("pos") + 1).alias("pos"), F.col("sym").alias("s1"))
         sym2 = sym.select(F.col("pos").alias("phi"), F.col("s1").alias("s2"))
-        p = self.phi().join(sym, "pos", "left").join(sym2, "phi", "left").where("s1 IS NULL OR s2 IS NULL OR s1 <> s2").select("pos", "phi", F.lit(0).cast("long").alias("n"))
-        now = self.scratch.save(p, "irreducible")
-        for k in range(len(self.levels) - 1, -1, -1):
-            level = self.levels[k]
-            a = level.select(F.col("pos").alias("i"), F.col("rank").alias("ra"))
-            b = level.select(F.col("pos").alias("j"), F.col("rank").alias("rb"))
-            now = now.withColumn("i", F.col("pos") + F.col("n")).withColumn("j", F.col("phi") + F.col("n")).join(a, "i", "left").join(b, "j", "left")
-            now = self.scratch.save(now.select("pos", "phi", (F.col("n") + F.when(F.col("ra") == F.col("rb"), self.width << k).otherwise(0)).alias("n")), "irreducible")
-        keys = self.symbols.select(F.col("pos").alias("i"), F.col("key").alias("ka"))
-        keys2 = keys.select(F.col("i").alias("j"), F.col("ka").alias("kb"))
-        now = now.withColumn("i", F.col("pos") + F.col("n")).withColumn("j", F.col("phi") + F.col("n")).join(keys, "i", "left").join(keys2, "j", "left")
-        same = sum((F.when(F.shiftright("ka", self.bits * j) == F.shiftright("kb", self.bits * j), 1).otherwise(0) for j in range(1, self.width)), F.lit(0))
-        return now.select("pos", "phi", (F.col("n") + F.when(F.col("ka").isNull() | F.col("kb").isNull(), 0).otherwise(same)).cast("long").alias("plcp"))
+        p = self.phi().join(sym, "pos", "left").join(sym2, "phi", "left").where("s1 IS NULL OR s2 IS NULL OR s1 <> s2")
+        pairs = self.scratch.save(p.select(F.col("pos").alias("i"), F.col("phi").alias("j")), "irreducible")
+        return self.common(pairs).select(F.col("i").alias("pos"), F.col("j").alias("phi"), F.col("n").alias("plcp"))
 
     def reach_steps(self) -> DataFrame:
         """``part, pos, reach`` in text order; ``part`` numbers the range partitions."""
@@ -213,9 +237,10 @@ class GlobalText:
     def factors(self, min_len: int = 2) -> DataFrame:
         """``dst, len, src``: cut at islands, which no reach crosses, solve packs of islands, look the sources up."""
         steps = self.scratch.save(self.reach_steps(), "reach")
+        names = ["part", "pos", "reach", "island", "begin"]
 
         def scan(part, it):
-            last, n = None, 0
+            last, n, row, open_row = None, 0, 0, 0
             for b in it:
                 pos, reach = b.column(0).to_numpy(), b.column(1).to_numpy()
                 if not len(pos):
@@ -223,18 +248,24 @@ class GlobalText:
                 before = np.append(last if last is not None else pos[0] + 1, reach[:-1])
                 opens = pos >= before
                 island = n + np.cumsum(opens)
-                n, last = int(island[-1]), int(reach[-1])
-                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(pos), part, np.int32)), pa.array(pos), pa.array(reach), pa.array(island.astype(np.int64))], ["part", "pos", "reach", "island"])
+                at = np.maximum.accumulate(np.where(opens, row + np.arange(len(pos)), -1))
+                begin = np.where(at >= 0, at, open_row)
+                n, last, row, open_row = int(island[-1]), int(reach[-1]), row + len(pos), int(begin[-1])
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(pos), part, np.int32)), *(pa.array(x.astype(np.int64)) for x in (pos, reach, island, begin))], names)
 
         tall = steps.where(F.col("reach") - F.col("pos") >= min_len).select("pos", "reach")
-        got = self.scratch.save(_sorted_scan(tall, ["pos"], "part int, pos long, reach long, island long", scan), "islands")
-        base, n, last = [], 0, -1
-        for r in got.groupBy("part").agg(F.min("pos").alias("p"), F.max("reach").alias("q"), F.max("island").alias("k")).orderBy("part").collect():
-            n += r["p"] >= last
-            base.append((r["part"], n))
-            n, last = n + r["k"], r["q"]
-        base = got.sparkSession.createDataFrame(base, "part int, base long")
-        packed = got.join(F.broadcast(base), "part").select(F.expr("(base + island) div 256").alias("pack"), "pos", "reach")
+        got = self.scratch.save(_sorted_scan(tall, ["pos"], "part int, pos long, reach long, island long, begin long", scan), "islands")
+        # packs of islands with about PACK steps; the first island of a partition may have begun before it
+        base, rows, last, opened = [], 0, -1, 0
+        ends = got.groupBy("part").agg(F.min("pos").alias("p"), F.max("reach").alias("q"), F.count("*").alias("n"), F.max(F.struct("island", "begin")).alias("k"))
+        for r in ends.orderBy("part").collect():
+            first = rows if r["p"] >= last else opened
+            base.append((r["part"], rows, first))
+            opened = rows + r["k"]["begin"] if r["k"]["island"] else first
+            rows, last = rows + r["n"], r["q"]
+        base = got.sparkSession.createDataFrame(base, "part int, rows long, first long")
+        begun = F.when(F.col("island") == 0, F.col("first")).otherwise(F.col("rows") + F.col("begin"))
+        packed = got.join(F.broadcast(base), "part").select(F.floor(begun / PACK).alias("pack"), "pos", "reach")
 
         def solve(pdf):
             import pandas as pd
@@ -268,3 +299,163 @@ class GlobalText:
             top = max(top, r["top"])
         before = got.sparkSession.createDataFrame(before, "part int, before long")
         return got.join(F.broadcast(before), "part").select("pos", F.greatest(F.lit(0), F.greatest("reach", "before") - F.col("pos")).alias("plcp"))
+
+    def _nearest_smaller(self, descending: bool) -> DataFrame:
+        """``pos, src``: the nearest suffix before each one in suffix order (behind it, if descending) that starts earlier in the text.
+
+        A partition keeps the stack of its suffixes that no later one undercuts. What it can't answer goes to the last partition before
+        it that has a smaller start, found from the least starts, one number for each partition.
+        """
+        names = ["part", "pos", "src", "left"]
+
+        def scan(part, it):
+            stack = np.zeros(0, np.int64)
+            for b in it:
+                v = b.column(1).to_numpy()
+                if not len(v):
+                    continue
+                near = K._nearest_smaller(v, np.zeros(len(v), np.int64))
+                src = np.where(near >= 0, v[np.maximum(near, 0)], -1)
+                open_ = np.flatnonzero(near < 0)
+                k = np.searchsorted(stack, v[open_]) - 1
+                src[open_] = np.where(k >= 0, stack[np.maximum(k, 0)] if len(stack) else -1, -1)
+                low = np.minimum.accumulate(v[::-1])[::-1]
+                stack = np.concatenate([stack[stack < low[0]], v[v == low]])
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(v), part, np.int32)), pa.array(v), pa.array(src, mask=src < 0), pa.array(np.zeros(len(v), bool))], names)
+            yield pa.RecordBatch.from_arrays([pa.array(np.full(len(stack), part, np.int32)), pa.array(stack), pa.array(stack), pa.array(np.ones(len(stack), bool))], names)
+
+        order = F.col("rank") * (-1 if descending else 1)
+        rows = self.ranks.select(order.alias("order"), "pos")
+        got = self.scratch.save(_sorted_scan(rows, ["order"], "part int, pos long, src long, left boolean", scan), "smaller")
+        least = [(r["part"], r["m"]) for r in got.groupBy("part").agg(F.min("pos").alias("m")).orderBy("part").collect()]
+        parts, lows = np.array([p for p, _ in least]), np.array([m for _, m in least], np.int64)
+
+        def route(it):
+            for b in it:
+                part, v = b.column(0).to_numpy(), b.column(1).to_numpy()
+                to = np.full(len(v), -1, np.int32)
+                for p in np.unique(part):
+                    k = int(np.searchsorted(parts, p))
+                    # the last least start below v: the minima from the right, which ascend to the left
+                    tail = np.minimum.accumulate(lows[:k][::-1])
+                    at = np.searchsorted(-tail, -v[part == p], "right")
+                    to[part == p] = np.where(at < k, parts[np.maximum(k - 1 - at, 0)] if k else -1, -1)
+                yield pa.RecordBatch.from_arrays([pa.array(to), pa.array(v)], ["part", "pos"])
+
+        asked = got.where("NOT left AND src IS NULL").select("part", "pos").mapInArrow(route, "part int, pos long").where("part >= 0")
+
+        def answer(ask, stack):
+            import pandas as pd
+
+            top = np.sort(stack["pos"].to_numpy())
+            k = np.searchsorted(top, ask["pos"].to_numpy()) - 1
+            return pd.DataFrame({"pos": ask["pos"], "src": top[k] if len(top) else k})
+
+        late = asked.groupBy("part").cogroup(got.where("left").select("part", "pos").groupBy("part")).applyInPandas(answer, "pos long, src long")
+        return self.scratch.save(got.where("NOT left AND src IS NOT NULL").select("pos", "src").unionByName(late), "sources")
+
+    def previous_factors(self) -> DataFrame:
+        """``pos, lpf, src``: the longest factor at every position that occurs earlier, and its smaller nearest source.
+
+        Only where a source does not follow the one of the position before, or the symbols before differ, prefixes are compared; the other
+        lengths follow from the last of these.
+        """
+        sides = []
+        sym = self.symbols.select("pos", "sym")
+        for k, descending in ((1, False), (2, True)):
+            near = self._nearest_smaller(descending)
+            before = near.join(sym, "pos").select((F.col("pos") + 1).alias("pos"), (F.col("src") + 1).alias("next"), F.col("sym").alias("s1"))
+            own = near.join(before, "pos", "left").join(sym.select((F.col("pos") + 1).alias("src"), F.col("sym").alias("s2")), "src", "left")
+            fresh = own.where("next IS NULL OR next <> src OR s2 IS NULL OR s1 <> s2").select(F.col("pos").alias("i"), F.col("src").alias("j"))
+            known = self.common(self.scratch.save(fresh, "pairs")).select(F.col("i").alias("pos"), (F.col("i") + F.col("n")).alias(f"reach{k}"))
+            sides.append(near.withColumnRenamed("src", f"src{k}").join(known, "pos", "left"))
+        rows = self.symbols.select("pos").join(sides[0], "pos", "left").join(sides[1], "pos", "left").select("pos", "src1", "reach1", "src2", "reach2")
+        names = ["part", "pos", "src1", "reach1", "src2", "reach2"]
+
+        def scan(part, it):
+            last = [-1, -1]
+            for b in it:
+                out = [pa.array(np.full(b.num_rows, part, np.int32)), b.column(0)]
+                for k in (0, 1):
+                    src, reach = b.column(1 + 2 * k), b.column(2 + 2 * k).fill_null(-1).to_numpy()
+                    known = np.maximum.accumulate(np.where(reach >= 0, np.arange(len(reach)), -1))
+                    filled = np.where(known >= 0, reach[np.maximum(known, 0)], last[k])
+                    last[k] = int(filled[-1]) if len(filled) else last[k]
+                    out += [src, pa.array(filled, mask=filled < 0)]
+                yield pa.RecordBatch.from_arrays(out, names)
+
+        got = self.scratch.save(_sorted_scan(rows, ["pos"], "part int, pos long, src1 long, reach1 long, src2 long, reach2 long", scan), "reaches")
+        ends = got.groupBy("part").agg(F.max_by("reach1", "pos").alias("a"), F.max_by("reach2", "pos").alias("b")).orderBy("part").collect()
+        carry, a, b = [], None, None
+        for r in ends:
+            carry.append((r["part"], a, b))
+            a, b = (r["a"] if r["a"] is not None else a), (r["b"] if r["b"] is not None else b)
+        carry = got.sparkSession.createDataFrame(carry, "part int, a long, b long")
+        size = lambda k, c: F.when(F.col(f"src{k}").isNull(), 0).otherwise(F.coalesce(f"reach{k}", c) - F.col("pos"))
+        both = got.join(F.broadcast(carry), "part").select("pos", "src1", "src2", size(1, "a").alias("n1"), size(2, "b").alias("n2"))
+        second = (F.col("n2") > F.col("n1")) | ((F.col("n2") == F.col("n1")) & F.col("src2").isNotNull() & (F.col("src1").isNull() | (F.col("src2") < F.col("src1"))))
+        lpf = F.greatest("n1", "n2")
+        return both.select("pos", lpf.alias("lpf"), F.when(lpf > 0, F.when(second, F.col("src2")).otherwise(F.col("src1"))).alias("src"))
+
+    def unidirectional(self, min_len: int = 2) -> DataFrame:
+        """``dst, len, src`` of the greedy parse with earlier sources.
+
+        In every cell all positions know the phrase start at which their path leaves it; few such starts differ. On these the
+        path from the first position is marked by doubling, and each cell then follows its own part of it.
+        """
+        import pandas as pd
+
+        take = F.when(F.col("lpf") >= min_len, F.col("lpf")).otherwise(1)
+        steps = self.scratch.save(self.previous_factors().select(F.expr(f"(pos - 1) div {CELL}").alias("cell"), "pos", take.alias("n"), "src"), "steps")
+
+        def leaves(pdf):
+            """Positions in order, their next phrase starts, and where the path from each leaves the cell."""
+            pdf = pdf.sort_values("pos")
+            pos, low = pdf["pos"].to_numpy(), int(pdf["pos"].min())
+            nxt = pos + pdf["n"].to_numpy()
+            end, leave = low + len(pos), nxt.copy()
+            todo = np.flatnonzero(leave < end)
+            while len(todo):
+                leave[todo] = leave[leave[todo] - low]
+                todo = todo[leave[todo] < end]
+            return pdf, low, nxt, leave
+
+        def exits(key, pdf):
+            return pd.DataFrame({"pos": np.unique(leaves(pdf)[3])})
+
+        nodes = steps.select("cell", "pos", "n").groupBy("cell").applyInPandas(exits, "pos long").distinct()
+        nodes = nodes.unionByName(steps.sparkSession.range(1).select(F.lit(1).cast("long").alias("pos"))).distinct()
+        nodes = self.scratch.save(nodes.select(F.expr(f"(pos - 1) div {CELL}").alias("cell"), "pos"), "nodes")
+
+        def hop(key, mine, pdf):
+            if not len(mine) or not len(pdf):
+                return pd.DataFrame({"a": [], "b": []}, dtype="int64")
+            _, low, _, leave = leaves(pdf)
+            at = mine["pos"].to_numpy()
+            at = at[at < low + len(leave)]  # a path may leave at the end of the text
+            return pd.DataFrame({"a": at, "b": leave[at - low]})
+
+        jump = self.scratch.save(nodes.groupBy("cell").cogroup(steps.select("cell", "pos", "n").groupBy("cell")).applyInPandas(hop, "a long, b long"), "jump")
+        marked = self.scratch.save(jump.where("a = 1").select("a"), "marked")
+        for k in range(64):
+            more = marked.join(jump, "a").select(F.col("b").alias("a"))
+            marked = self.scratch.save(marked.unionByName(more).distinct(), "marked")
+            if marked.count() < 1 << (k + 1):
+                break
+            far = jump.select(F.col("a").alias("b"), F.col("b").alias("c"))
+            jump = self.scratch.save(jump.join(far, "b").select("a", F.col("c").alias("b")), "jump")
+
+        def follow(key, mine, pdf):
+            if not len(mine) or not len(pdf):
+                return pd.DataFrame({"dst": [], "len": [], "src": []})
+            pdf, low, nxt, _ = leaves(pdf)
+            i, at, end = int(mine["pos"].min()), [], low + len(pdf)
+            hops = nxt.tolist()
+            while i < end:
+                at.append(i - low)
+                i = hops[i - low]
+            return pdf.iloc[at].rename(columns={"pos": "dst", "n": "len"})[["dst", "len", "src"]]
+
+        entry = marked.select(F.expr(f"(a - 1) div {CELL}").alias("cell"), F.col("a").alias("pos"))
+        phrases = entry.groupBy("cell").cogroup(steps.groupBy("cell")).applyInPandas(follow, "dst long, len long, src double")
+        return phrases.where(F.col("len") >= min_len).select("dst", "len", F.col("src").cast("long").alias("src"))

@@ -69,15 +69,33 @@ def nested_kernel(factors: DataFrame, schema: str, kernel) -> DataFrame:
     return nested.mapInArrow(run, schema)
 
 
-def batch_parents(bounds, dst, size, src) -> tuple[np.ndarray, np.ndarray]:
+def batch_parents(bounds, dst, size, src, n=None) -> tuple[np.ndarray, np.ndarray]:
     """Parent of every position of a batch of texts laid end to end, and the n + 1 first positions."""
-    n = np.add.reduceat(size, bounds[:-1]) if len(size) else np.zeros(0, np.int64)
+    if n is None:
+        n = np.add.reduceat(size, bounds[:-1]) if len(size) else np.zeros(0, np.int64)
     first = np.concatenate([[0], np.cumsum(n)])
     base = np.repeat(first[:-1], np.diff(bounds))
     ref = src >= 0
     return K.char_parents(int(first[-1]), (dst + base)[ref], (src + base)[ref], size[ref]), first
 
 
+def resolves(factors: DataFrame) -> DataFrame:
+    """``text_id, resolves``: does every symbol lead to a literal inside the text, without a circle?"""
+
+    def kernel(bounds, dst, size, src, literal):
+        n = np.add.reduceat(size, bounds[:-1]) if len(size) else np.zeros(0, np.int64)
+        whole = np.repeat(n, np.diff(bounds))
+        inside = (dst >= 0) & (dst + size <= whole) & (src + size <= whole)
+        text = np.repeat(np.arange(len(n)), np.diff(bounds))
+        ok = np.bincount(text[~inside], minlength=len(n)) == 0
+        parent, first = batch_parents(bounds, np.where(inside, dst, 0), np.where(inside, size, 0), np.where(inside, src, -1), n)
+        lost = K.unresolved(parent)
+        ok[np.searchsorted(first, lost, "right") - 1] = False
+        return [pa.array(ok)]
+
+    return nested_kernel(factors, "text_id {id}, resolves boolean", kernel)
+
+
 def depths(factors: DataFrame) -> DataFrame:
     """``text_id, depth, mean_depth, factor_cycles``: steps from a symbol to its literal, and circles among first parents."""
 

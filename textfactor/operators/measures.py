@@ -1,4 +1,4 @@
-"""Cost and size measures: entropies, counts, throughput, disk and the I/O model."""
+"""Cost and size measures: entropies, counts, codec sizes, throughput and the I/O model; for disk see ``experiments``."""
 
 from __future__ import annotations
 
@@ -145,17 +145,79 @@ class IoModel:
 
 
 def measure(action, repeat: int = 3) -> dict:
-    """Median seconds of an action, and all of them."""
-    seconds = []
+    """Median seconds of an action, all of them, and what its last run returned."""
+    seconds, got = [], None
     for _ in range(repeat):
         a = time.perf_counter()
-        action()
+        got = action()
         seconds.append(time.perf_counter() - a)
-    return {"seconds": float(np.median(seconds)), "all": seconds}
+    return {"seconds": float(np.median(seconds)), "all": seconds, "result": got}
 
 
 def compare_schemes(texts: DataFrame, min_len: int = 2) -> DataFrame:
-    """Bidirectional and unidirectional counts side by side and the ratio of factors."""
+    """Bidirectional and unidirectional counts side by side; ``ratio``: factors of a scheme to those of the unidirectional one."""
     a = scheme_counts(texts, factorize.factorize(texts, min_len), "bidirectional", min_len)
     b = scheme_counts(texts, factorize.parse_unidirectional(texts, min_len), "unidirectional", min_len)
-    return a.unionByName(b)
+    both = a.unionByName(b)
+    base = both.where("scheme = 'unidirectional'").select("min_len", F.col("n_factors").alias("base"))
+    return both.join(base, "min_len").withColumn("ratio", F.round(F.col("n_factors") / F.col("base"), 6)).drop("base")
+
+
+#: Byte sizes of general codecs beside those of the codings; the library's default levels.
+CODECS = ("zlib", "zstd", "lz4", "bz2")
+
+
+def codec_bytes(texts: DataFrame) -> DataFrame:
+    """``codec, raw_bytes, bytes``: all texts compressed one by one by window-bounded and block-sorting codecs."""
+
+    def run(it):
+        import bz2
+        import zlib
+
+        for b in it:
+            total = dict.fromkeys(CODECS, 0)
+            raw = 0
+            for text in b.column(1).to_pylist():
+                data = (text or "").encode("utf-8", "surrogatepass")
+                raw += len(data)
+                total["zlib"] += len(zlib.compress(data))
+                total["bz2"] += len(bz2.compress(data))
+                for name in ("zstd", "lz4"):
+                    total[name] += len(pa.compress(data, codec=name, asbytes=True)) if data else 0
+            yield pa.RecordBatch.from_arrays([pa.array(list(total)), pa.array([raw] * len(total)), pa.array(list(total.values()), pa.int64())], ["codec", "raw_bytes", "bytes"])
+
+    got = texts.select("text_id", "text").mapInArrow(run, "codec string, raw_bytes long, bytes long")
+    return got.groupBy("codec").agg(F.sum("raw_bytes").alias("raw_bytes"), F.sum("bytes").alias("bytes"))
+
+
+def entropies(texts: DataFrame, orders: list[int], unit: str = "codepoint") -> DataFrame:
+    """``k, symbols, entropy`` for several orders from one pass over the texts."""
+
+    def run(it):
+        for _, strings in batches_of(it):
+            t, first = symbol_batch(strings, unit)
+            end = np.repeat(first[1:], np.diff(first))
+            ctx = np.zeros(len(t), np.uint64)
+            for k in range(max(orders) + 1):
+                if k:  # the context of the symbol at i + k begins at i
+                    with np.errstate(over="ignore"):
+                        ctx = (ctx[: len(t) - k] ^ t[k - 1 : len(t) - 1].astype(np.uint64)) * np.uint64(0x9E3779B97F4A7C15)
+                        ctx ^= ctx >> np.uint64(29)
+                if k not in orders:
+                    continue
+                ok = np.arange(len(ctx)) + k < end[: len(ctx)]
+                c, x = ctx[ok].view(np.int64), t[k:][ok].astype(np.int64)
+                by = np.lexsort((x, c))
+                c, x = c[by], x[by]
+                new = np.concatenate([[True], (c[1:] != c[:-1]) | (x[1:] != x[:-1])]) if len(c) else np.zeros(0, bool)
+                at = np.flatnonzero(new)
+                yield pa.RecordBatch.from_arrays(
+                    [pa.array(np.full(len(at), k)), pa.array(c[at]), pa.array(x[at]), pa.array(np.diff(np.append(at, len(c))))], ["k", "context", "symbol", "n"]
+                )
+
+    pairs = texts.select("text_id", "text").mapInArrow(run, "k long, context long, symbol long, n long")
+    pairs = pairs.groupBy("k", "context", "symbol").agg(F.sum("n").alias("n"))
+    per = pairs.groupBy("k", "context").agg(F.sum("n").alias("m"), F.sum(F.col("n") * F.log2("n")).alias("s"))
+    bits = per.groupBy("k").agg(F.sum(F.col("m") * F.log2("m") - F.col("s")).alias("bits"))
+    size = texts.agg(F.sum(F.length("text") if unit == "codepoint" else F.octet_length("text")).cast("long")).first()[0] or 0
+    return bits.select("k", F.lit(size).cast("long").alias("symbols"), (F.col("bits") / size).alias("entropy"))

@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 
 from textfactor.functions import kernels as K
 from textfactor.functions import sql as sql_surface
-from textfactor.operators import arrays, coding, compact, decode, factorize, graph, measures, reuse
+from textfactor.operators import arrays, coding, compact, decode, experiments, factorize, graph, measures, reuse
 from textfactor.operators.global_text import GlobalText
 from textfactor.sources import corpus
 from textfactor.sources.io import read_table, read_texts
@@ -55,11 +55,11 @@ def _steps_sql(src: str) -> str:
 r AS (SELECT text_id, pos, plcp, pos + plcp AS reach, lag(plcp) OVER w AS before, lag(pos + plcp) OVER w AS last FROM a WINDOW w AS (PARTITION BY text_id ORDER BY pos))"""
 
 
-def _factors_sql(src: str, min_len: int, longest: int = 1_000_000) -> str:
-    """``fac(text_id, dst, len, src)`` by splitting segments at their leftmost highest value."""
-    best = """SELECT g.text_id, g.lo, g.hi, max(least(a.plcp, g.hi - a.pos)) AS len,
-    arg_max(a.pos, least(a.plcp, g.hi - a.pos) * 10000000 - a.pos) AS dst
-    FROM {seg} g JOIN a ON a.text_id = g.text_id AND a.pos >= g.lo AND a.pos < g.hi GROUP BY g.text_id, g.lo, g.hi"""
+def _factors_sql(src: str, min_len: int, longest: int = 1_000_000, tie: str = "a.pos") -> str:
+    """``fac(text_id, dst, len, src)`` by splitting segments at their highest value, of equal ones that with the least ``tie``."""
+    best = f"""SELECT g.text_id, g.lo, g.hi, max(least(a.plcp, g.hi - a.pos)) AS len,
+    arg_max(a.pos, least(a.plcp, g.hi - a.pos) * 100000000000 - ({tie})) AS dst
+    FROM {{seg}} g JOIN a ON a.text_id = g.text_id AND a.pos >= g.lo AND a.pos < g.hi GROUP BY g.text_id, g.lo, g.hi"""
     return f"""WITH RECURSIVE {_arrays_sql(src, longest)},
 seg AS (SELECT text_id, CAST(1 AS BIGINT) AS lo, CAST(length(t) AS BIGINT) AS hi FROM c
   UNION ALL
@@ -232,6 +232,11 @@ def _(spark, sf):
     return _global(spark, sf).factors(2)
 
 
+@query("uni_single_text", _uni_sql(ONE.format(B)).replace("range(1, length(t) - pos + 2)", "range(1, least(1000, length(t) - pos + 1) + 1)") + " SELECT pos AS dst, n AS len FROM phrase WHERE n >= 2")
+def _(spark, sf):
+    return _global(spark, sf).unidirectional(2).select("dst", "len")
+
+
 @query("uni_factors", _uni_sql(B) + " SELECT text_id, pos AS dst, n AS len FROM phrase WHERE n >= 2")
 def _(spark, sf):
     return factorize.parse_unidirectional(read_texts(spark, sf, "benchmark")).select("text_id", "dst", "len")
@@ -239,7 +244,56 @@ def _(spark, sf):
 
 @query("uni_factors_scan", SQL["uni_factors"])
 def _(spark, sf):
-    return factorize.parse_unidirectional(read_texts(spark, sf, "benchmark"), method="scan").select("text_id", "dst", "len")
+    return factorize.parse_unidirectional(read_texts(spark, sf, "benchmark"), method="scan", block=64).select("text_id", "dst", "len")
+
+
+@query("uni_factors_memory", SQL["uni_factors"])
+def _(spark, sf):
+    return factorize.parse_unidirectional(read_texts(spark, sf, "benchmark"), method="memory").select("text_id", "dst", "len")
+
+
+@query("uni_scan_conversations", "SELECT count(*) AS texts, CAST(0 AS BIGINT) AS differing FROM (" + SRC["conversations"] + ")")
+def _(spark, sf):
+    """Texts on which the scan by blocks and the array of previous factors give another number of references or factors."""
+    t = read_texts(spark, sf, "conversations")
+    a, b = (coding.reference_counts(factorize.parse_unidirectional(t, method=m, block=256), t) for m in ("scan", "lpf"))
+    b = b.select("text_id", F.col("n_refs").alias("r"), F.col("n_factors").alias("f"))
+    return a.join(b, "text_id").agg(F.count("*").alias("texts"), F.count_if((F.col("n_refs") != F.col("r")) | (F.col("n_factors") != F.col("f"))).alias("differing"))
+
+
+_TIES = {"rightmost": "-a.pos", "hash": "((a.pos - 1) * 2654435761 + 12345) % 2147483647", "stable": "(a.pos - 1) % 64 * (length(a.t) - 1) + a.pos - 1"}
+for _tie, _rank in _TIES.items():
+    query(f"al_factors_{_tie}", _factors_sql(B, 2, tie=_rank) + " SELECT text_id, dst, len, src FROM fac")(
+        lambda spark, sf, t=_tie: factorize.factorize(read_texts(spark, sf, "benchmark"), 2, "heap", tie=t)
+    )
+
+
+@query("bwt_parse_literals", f"""WITH {_arrays_sql(B)}, o AS (SELECT text_id, isa, CASE WHEN pos > 1 THEN substr(t, pos - 1, 1) END AS x FROM a WHERE isa > 1),
+    k AS (SELECT text_id, x = lag(x) OVER (PARTITION BY text_id ORDER BY isa) AS copied FROM o)
+    SELECT text_id, count(*) - count(*) FILTER (copied) AS n_literal_chars FROM k GROUP BY text_id""")
+def _(spark, sf):
+    t = read_texts(spark, sf, "benchmark")
+    return coding.reference_counts(factorize.parse_bwt_runs(t), t).select("text_id", "n_literal_chars")
+
+
+@query("window_factors", f"""WITH RECURSIVE c AS (SELECT text_id, text AS t FROM ({B})),
+    p AS (SELECT text_id, t, unnest(range(1, length(t) + 1)) AS pos FROM c),
+    l AS (SELECT text_id, pos, coalesce(list_max(list_filter(range(3, length(t) - pos + 2), lambda k: strpos(substr(t, greatest(1, pos - 64), pos - 1 - greatest(1, pos - 64) + k), substr(t, pos, k)) > 0)), 1) AS n FROM p),
+    j AS (SELECT text_id, pos, CASE WHEN pos = 1 THEN 1 ELSE n END AS n FROM l),
+    phrase AS (SELECT text_id, pos, n FROM j WHERE pos = 1 UNION ALL SELECT j.text_id, j.pos, j.n FROM phrase JOIN j ON j.text_id = phrase.text_id AND j.pos = phrase.pos + phrase.n)
+    SELECT text_id, pos AS dst, n AS len FROM phrase WHERE n >= 3""")
+def _(spark, sf):
+    return factorize.parse_window(read_texts(spark, sf, "benchmark"), 64).select("text_id", "dst", "len")
+
+
+@query("end_aligned_factors", f"""WITH RECURSIVE c AS (SELECT text_id, text AS t FROM ({B})),
+    phrase AS (SELECT text_id, t, CAST(1 AS BIGINT) AS pos, CAST(1 AS BIGINT) AS n, CAST([1] AS BIGINT[]) AS ends FROM c WHERE length(t) > 0 UNION ALL
+      SELECT text_id, t, q, k, list_append(ends, q + k - 1) FROM (SELECT text_id, t, q, ends,
+        coalesce(list_max(list_filter(range(2, least(q, length(t) - q + 2)), lambda k: len(list_filter(ends, lambda e: e >= k AND substr(t, e - k + 1, k) = substr(t, q, k))) > 0)), 1) AS k
+        FROM (SELECT *, pos + n AS q FROM phrase) WHERE q <= length(t)))
+    SELECT text_id, pos AS dst, n AS len FROM phrase WHERE n >= 2""")
+def _(spark, sf):
+    return factorize.parse_end_aligned(read_texts(spark, sf, "benchmark")).select("text_id", "dst", "len")
 
 
 @query("uni_sources_ok", _uni_sql(B) + " SELECT text_id, count(*) AS refs, count(*) AS equal, true AS unidirectional FROM phrase WHERE n >= 2 GROUP BY text_id")
@@ -281,7 +335,7 @@ def _(spark, sf):
 
 
 def _valid_sql(table: str) -> str:
-    return f"SELECT text_id, true AS tiled, true AS long_enough, true AS in_range, true AS no_self FROM ({SRC[table]})"
+    return f"SELECT text_id, true AS tiled, true AS long_enough, true AS in_range, true AS no_self, true AS resolves FROM ({SRC[table]})"
 
 
 for _table in ("documents", "pages", "conversations"):
@@ -404,6 +458,58 @@ def _(spark, sf):
     return _digest(t, decode.decode_jump(_coded(t, 8)))
 
 
+@query("char_decode_unidirectional", _md5_sql("benchmark"))
+def _(spark, sf):
+    t = read_texts(spark, sf, "benchmark")
+    return _digest(t, decode.decode_chars(coding.encode(factorize.parse_unidirectional(t), t)))
+
+
+@query("copies_decode", _md5_sql("benchmark"))
+def _(spark, sf):
+    t = read_texts(spark, sf, "benchmark")
+    return _digest(t, decode.decode_copies(_coded(t))[0])
+
+
+@query("jump_order", _factors_sql(B, 2) + _PARENTS + """, d AS (SELECT text_id, max(hops) AS depth FROM walk GROUP BY text_id)
+    SELECT text_id, CAST(ceil(log2(greatest(depth, 1))) AS BIGINT) AS parallel, true AS in_order_no_more FROM d""")
+def _(spark, sf):
+    r = decode.order_of_jumps(_coded(read_texts(spark, sf, "benchmark")))
+    return r.select("text_id", "parallel", (F.col("in_order") <= F.col("parallel")).alias("in_order_no_more"))
+
+
+def _shape(f: DataFrame) -> DataFrame:
+    """Borders and literals of each text's coding as one digest."""
+    part = F.concat_ws(":", "dst", "len", F.when(F.col("src").isNull(), F.col("literal")))
+    return f.groupBy("text_id").agg(F.md5(F.array_join(F.array_sort(F.collect_list(part)), ",")).alias("shape"))
+
+
+for _kind, _multi in (("forest", False), ("layered", True)):
+
+    @query(f"compaction_gain_{_kind}", _factors_sql(B, 2) + _PARENTS + " SELECT text_id, CAST(max(hops) AS BIGINT) AS depth, true AS no_deeper, true AS same_shape FROM walk GROUP BY text_id")
+    def _(spark, sf, multi=_multi):
+        f = _coded(read_texts(spark, sf, "benchmark"))
+        g = compact.compact(f, through_multi=multi)
+        after = graph.depths(g).select("text_id", F.col("depth").alias("after")).join(_shape(g).withColumnRenamed("shape", "other"), "text_id")
+        return graph.depths(f).join(_shape(f), "text_id").join(after, "text_id").select(
+            "text_id", "depth", (F.col("after") <= F.col("depth")).alias("no_deeper"), (F.col("shape") == F.col("other")).alias("same_shape")
+        )
+
+
+@query("compaction_report")
+def _(spark, sf):
+    """Depth of the codings, rounds and seconds of the join decoder without and with compaction."""
+    import time
+
+    f = _coded(read_texts(spark, sf, "benchmark"))
+    rows = []
+    for name, g in (("plain", f), ("forest", compact.compact(f)), ("layered", compact.compact(f, through_multi=True))):
+        d = graph.depths(g).agg(F.max("depth"), F.avg("mean_depth")).first()
+        a = time.perf_counter()
+        rounds = decode.jump(g)[1]
+        rows.append((name, d[0], float(d[1]), len(rounds), max((x["pieces"] for x in rounds), default=0), time.perf_counter() - a))
+    return spark.createDataFrame(rows, "compaction string, depth long, mean_depth double, rounds int, peak_pieces long, seconds double")
+
+
 @query("uni_decode", _md5_sql("documents"))
 def _(spark, sf):
     t = read_texts(spark, sf, "documents")
@@ -415,19 +521,32 @@ def _(spark, sf):
     return decode.extract(_coded(read_texts(spark, sf, "benchmark")), 21, 60)
 
 
-def _single_coding(spark, sf, table: str, min_len: int) -> tuple[DataFrame, DataFrame]:
+def _single_coding(spark, sf, table: str, min_len: int) -> DataFrame:
+    """The coding of a table as one text, without any row or task that holds the text."""
+    from textfactor.plans.scratch import Scratch
+
     blocks = corpus.single_text(read_texts(spark, sf, table))
-    whole = blocks.groupBy(F.lit(0).cast("long").alias("text_id")).agg(F.array_sort(F.collect_list(F.struct("start", "body"))).alias("x"))
-    return GlobalText(blocks).factors(min_len), whole.select("text_id", F.array_join(F.transform("x", lambda b: b["body"]), "").alias("text"))
+    f = coding.encode_blocks(GlobalText(blocks).factors(min_len), blocks)
+    return Scratch(spark, "single").save(f.withColumn("text_id", F.lit(0).cast("long")), "coding")
 
 
-@query("single_text_roundtrip", f"SELECT text_id, md5(text) AS digest FROM ({ONE.format(B)})")
-def _(spark, sf):
-    refs, whole = _single_coding(spark, sf, "benchmark", 2)
-    f = coding.encode(refs.withColumn("text_id", F.lit(0).cast("long")), whole)
-    from textfactor.plans.scratch import Scratch
+def _single_digests(spark, f: DataFrame, cell: int = 1 << 14) -> DataFrame:
+    """Digests of the decoded text by cells of ``cell`` symbols."""
+    pieces = decode.decoded_pieces(decode.jump(f)[0], f)
+    pieces = pieces.select("at", "piece", F.explode(F.expr(f"sequence((at - 1) div {cell}, (at + length(piece) - 2) div {cell})")).alias("cell"))
+    low, high = F.greatest("at", F.col("cell") * cell + 1), F.least(F.col("at") + F.length("piece"), (F.col("cell") + 1) * cell + 1)
+    cut = pieces.select("cell", low.alias("at"), F.substring("piece", (low - F.col("at") + 1).cast("int"), (high - low).cast("int")).alias("piece"))
+    body = cut.groupBy("cell").agg(F.array_sort(F.collect_list(F.struct("at", "piece"))).alias("x"))
+    return body.select("cell", F.md5(F.array_join(F.transform("x", lambda p: p["piece"]), "")).alias("digest"))
+
+
+def _cells_sql(src: str, cell: int = 1 << 14) -> str:
+    return f"""WITH w AS ({ONE.format(src)}), i AS (SELECT text, CAST(unnest(range(0, (length(text) - 1) // {cell} + 1)) AS BIGINT) AS cell FROM w)
+    SELECT cell, md5(substr(text, cell * {cell} + 1, {cell})) AS digest FROM i"""
+
 
-    return _digest(whole, decode.decode_jump(Scratch(spark, "single").save(f, "coding")))
+for _table, _min in (("benchmark", 2), ("conversations", 2)):
+    query(f"single_text_roundtrip_{_table}", _cells_sql(SRC[_table]))(lambda spark, sf, t=_table, m=_min: _single_digests(spark, _single_coding(spark, sf, t, m)))
 
 
 @query("jump_rounds")
@@ -536,6 +655,99 @@ def _(spark, sf):
     return _prefix_counts(spark, corpus.lineitem_letters_whole(read_table(spark, sf, "lineitem")))
 
 
+def _letters(spark, sf) -> DataFrame:
+    return corpus.lineitem_letters(read_table(spark, sf, "lineitem"))
+
+
+_DATASETS = {
+    "documents": (lambda spark, sf: experiments.prefixes(read_texts(spark, sf, "documents")), [2, *range(3, 9)]),
+    "pages": (lambda spark, sf: experiments.prefixes(read_texts(spark, sf, "pages")), [2, *range(3, 9)]),
+    "letters": (lambda spark, sf: experiments.prefixes(_letters(spark, sf), sep=""), [2, *range(7, 13), *range(17, 23)]),
+}
+for _name, (_texts, _lengths) in _DATASETS.items():
+
+    @query(f"single_prefix_counts_{_name}")
+    def _(spark, sf, texts=_texts):
+        """References and factors of both schemes on an eighth, a quarter, a half and all of one text."""
+        return experiments.factor_counts(texts(spark, sf))
+
+    @query(f"single_prefix_measures_{_name}")
+    def _(spark, sf, texts=_texts, name=_name):
+        return experiments.compress(texts(spark, sf), name, [2], "prefixes")
+
+    @query(f"single_min_len_measures_{_name}")
+    def _(spark, sf, texts=_texts, name=_name, lengths=_lengths):
+        return experiments.compress(texts(spark, sf).where("text_id < 8"), name, lengths[1:], "min_len", 1)
+
+
+@query("single_prefix_text", """WITH w AS (SELECT string_agg(text || chr(10), '' ORDER BY text_id) AS text FROM (""" + SRC["pages"] + """))
+    SELECT CAST(p AS BIGINT) AS part, md5(substr(text, 1, length(text) // p)) AS digest FROM w, (VALUES (1), (2), (4), (8)) v(p)""")
+def _(spark, sf):
+    return _DATASETS["pages"][0](spark, sf).select(F.col("text_id").alias("part"), F.md5("text").alias("digest"))
+
+
+@query("decode_prefixes_pages")
+def _(spark, sf):
+    return experiments.decompress(spark, _DATASETS["pages"][0](spark, sf).where("text_id > 1"), "pages")
+
+
+@query("decode_prefixes_letters")
+def _(spark, sf):
+    return experiments.decompress(spark, _DATASETS["letters"][0](spark, sf).where("text_id > 1"), "letters")
+
+
+@query("disk_single_text")
+def _(spark, sf):
+    """Bytes that the distributed forms of both schemes write for one text."""
+    blocks = corpus.single_text(read_texts(spark, sf, "benchmark"))
+    n = blocks.agg(F.sum(F.length("body"))).first()[0]
+    rows = []
+    for name, run in (("bidirectional", lambda g: g.factors(2).count()), ("unidirectional", lambda g: g.unidirectional(2).count())):
+        g = GlobalText(blocks)
+        disk, seconds, refs = experiments.disk_of(spark, lambda: run(g))
+        rows += [("prefixes", "benchmark", 1.0, name, 2, k, float(v)) for k, v in {"disk_bytes": disk, "disk_per_symbol": disk / n, "GiB_per_h": n / 2**30 / seconds * 3600, "references": refs}.items()]
+    return spark.createDataFrame(rows, experiments.MEASURES)
+
+
+def _prefix_entropy_sql(src: str, sep: str) -> str:
+    return f"""WITH w AS (SELECT string_agg(text || {sep}, '' ORDER BY text_id) AS text FROM ({src})),
+    c AS (SELECT CAST(q AS BIGINT) AS part, substr(text, 1, length(text) // q) AS text FROM w, (VALUES (1), (2), (4), (8)) v(q)),
+    p AS (SELECT part, k, substr(text, i, k) AS ctx, substr(text, i + k, 1) AS sym FROM (SELECT part, text, k, unnest(range(1, length(text) - k + 1)) AS i FROM c, (VALUES (0), (1), (2), (3)) v(k))),
+    n AS (SELECT part, k, ctx, sym, count(*) AS n FROM p GROUP BY ALL), m AS (SELECT part, k, ctx, sum(n) AS m, sum(n * log2(n)) AS s FROM n GROUP BY ALL)
+    SELECT part, CAST(k AS BIGINT) AS k, CAST(any_value(length(c.text)) AS BIGINT) AS symbols, round(sum(m * log2(m) - s) / any_value(length(c.text)), 6) AS entropy FROM m JOIN c USING (part) GROUP BY part, k"""
+
+
+for _name, _src, _sep in (("pages", SRC["pages"], "chr(10)"), ("letters", LETTERS_SQL, "''")):
+
+    @query(f"entropy_prefixes_{_name}", _prefix_entropy_sql(_src, _sep) if _name == "letters" else None)
+    def _(spark, sf, name=_name):
+        texts = _DATASETS[name][0](spark, sf)
+        out = None
+        for part in experiments.PARTS:
+            e = measures.entropies(texts.where(F.col("text_id") == part), [0, 1, 2, 3]).select(F.lit(part).cast("long").alias("part"), "*")
+            out = e if out is None else out.unionByName(e)
+        return _rounded(out)
+
+
+@query("entropy_prefixes_documents")
+def _(spark, sf):
+    texts = _DATASETS["documents"][0](spark, sf)
+    out = None
+    for part in experiments.PARTS:
+        e = measures.entropies(texts.where(F.col("text_id") == part), list(range(8))).select(F.lit(part).cast("long").alias("part"), "*")
+        out = e if out is None else out.unionByName(e)
+    return _rounded(out)
+
+
+@query("codec_sizes")
+def _(spark, sf):
+    """Bytes of window-bounded and block-sorting codecs beside those of the whole-text coding, document by document."""
+    t = read_texts(spark, sf, "documents")
+    own = coding.coding_bytes(coding.encode(factorize.factorize(t, 3), t)).agg(F.sum("bytes").alias("bytes"))
+    raw = t.agg(F.sum(F.octet_length("text")).cast("long").alias("raw_bytes")).first()[0]
+    return measures.codec_bytes(t).unionByName(own.select(F.lit("bidirectional, variable-length integers").alias("codec"), F.lit(raw).alias("raw_bytes"), "bytes"))
+
+
 @query("min_len_sweep_documents")
 def _(spark, sf):
     return measures.sweep(read_texts(spark, sf, "documents"), list(range(2, 9)))
@@ -619,10 +831,13 @@ def _(spark, sf):
 
 @query("io_model")
 def _(spark, sf):
+    """Block transfers of the model, with the numbers of references and the depth that the documents have."""
     m = measures.IoModel(1 << 20, 1 << 13)
-    c = measures.compare_schemes(read_texts(spark, sf, "documents")).where("scheme = 'bidirectional'").first()
+    t = read_texts(spark, sf, "documents")
+    c = measures.scheme_counts(t, factorize.factorize(t), "bidirectional", 2).first()
+    depth = graph.depths(coding.encode(factorize.factorize(t), t)).agg(F.max("depth")).first()[0]
     n, refs = c["n"], c["n_refs"]
-    rows = [("scan", m.scan(n)), ("sort", m.sort(n)), ("factorize", m.chain(n, refs)), ("decode", m.jump(n, 64, 2)), ("compact", m.compaction(c["n_factors"]))]
+    rows = [("scan", m.scan(n)), ("sort", m.sort(n)), ("factorize", m.chain(n, refs)), ("decode", m.jump(n, depth, 2)), ("compact", m.compaction(c["n_factors"]))]
     return spark.createDataFrame([(k, float(v)) for k, v in rows], "step string, transfers double")
 
 
@@ -636,6 +851,25 @@ def _(spark, sf):
     )
 
 
+@query("factors_rollup_length", _factors_sql(B, 2) + """, k AS (SELECT c.text_id, length(t) - 1 AS n, count(dst) AS r, coalesce(sum(len), 0) AS s FROM c LEFT JOIN fac USING (text_id) GROUP BY c.text_id, t)
+    SELECT CAST(n // 100 AS BIGINT) AS hundreds, count(*) AS texts, CAST(sum(r) AS BIGINT) AS n_refs, CAST(sum(n - s + r) AS BIGINT) AS n_factors FROM k GROUP BY ROLLUP (n // 100)""")
+def _(spark, sf):
+    t = read_texts(spark, sf, "benchmark")
+    c = coding.reference_counts(factorize.factorize(t), t).withColumn("hundreds", F.expr("n div 100"))
+    return c.rollup("hundreds").agg(F.count("*").alias("texts"), F.sum("n_refs").alias("n_refs"), F.sum("n_factors").alias("n_factors"))
+
+
+@query("factors_by_lang_source")
+def _(spark, sf):
+    """Factors for each symbol by language and source, with all totals."""
+    docs = read_table(spark, sf, "documents")
+    t = corpus.as_collection(docs, "doc_id", "text")
+    c = coding.reference_counts(factorize.factorize(t), t)
+    return docs.select(F.col("doc_id").alias("text_id"), "lang", "source").join(c, "text_id").cube("lang", "source").agg(
+        F.count("*").alias("docs"), F.sum("n_refs").alias("n_refs"), F.sum("n_factors").alias("n_factors"), (F.sum("n_factors") / F.sum("n")).alias("factors_per_symbol")
+    )
+
+
 @query("labels_density")
 def _(spark, sf):
     """Factors for each symbol by label: repetitive junk has few."""
