@@ -1,9 +1,9 @@
 """Quality classifier: hashed word and character n-gram vectors, averaged per document, softmax output.
 
 Features of a text are its words, its byte n-grams (``GRAMS``) and its word pairs, each hashed into one of ``BUCKETS`` rows of
-a vector table; row 0 is a bias that every text has. Of a word pair only counts whether the word is repeated: most pairs of
-a corpus occur once, and this is what carries over to unseen words. Vectors and output weights are learned together by stochastic gradient
-descent in numpy, one document a step. As the output is a softmax over an average, a trained model is folded into one
+a vector table; row 0 is a bias that every text has. In a pair, a word that repeats the one before is written as a sign for
+"the same", so that all repetitions share a row. Vectors and output weights are learned together by stochastic gradient descent
+in numpy, one document a step. As the output is a softmax over an average, a trained model is folded into one
 number per bucket, so a whole text is scored by a gather and a mean.
 
 Training documents: at most ``bound`` labelled documents, those with the smallest hashes of their ids; every one is used
@@ -23,7 +23,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from textfactor.llm.scratch import bounded_batches
-from textfactor.llm.textscan import Words, pieces, text_bytes
+from textfactor.llm.textscan import Words, mix, pieces, text_bytes
 
 BUCKETS = 1 << 17
 GRAMS = (2, 4)
@@ -31,7 +31,8 @@ DIM = 12
 BOUND = 4000
 THRESHOLD = 0.3
 _SLICE = 1 << 18
-_AGAIN, _OTHER = 1, 2
+#: What stands for a pair of one word twice.
+_SAME = np.uint64(0x5851F42D4C957F2D)
 
 
 def fold_of(id_col: str, folds: int) -> Column:
@@ -44,9 +45,11 @@ def feature_rows(column: pa.Array):
     data, off = text_bytes(column)
     words = Words(column)
     word_bucket = (words.hash % np.uint64(BUCKETS - 1)).astype(np.int32) + 1
-    again = np.zeros(len(word_bucket), bool)
-    again[1:] = words.hash[1:] == words.hash[:-1]
-    pair_bucket = np.where(again, _AGAIN, _OTHER).astype(np.int32)
+    with np.errstate(over="ignore"):
+        pair = mix(words.hash[:-1] * np.uint64(0xD6E8FEB86659FD93) + words.hash[1:], 21)
+    pair = np.where(words.hash[1:] == words.hash[:-1], _SAME, pair)
+    pair_bucket = np.zeros(len(word_bucket), np.int32)
+    pair_bucket[1:] = (pair % np.uint64(BUCKETS - 1)).astype(np.int32) + 1
     bounds = off.tolist()
     for i, (a, b) in enumerate(zip(bounds[:-1], bounds[1:])):
         u, v = words.first[i], words.first[i + 1]
@@ -106,6 +109,17 @@ class Model:
         return out
 
 
+def loss_and_gradients(rows: np.ndarray, out: np.ndarray, y: int, x: np.ndarray) -> tuple[float, np.ndarray, np.ndarray]:
+    """Log loss of a document with feature vectors ``rows`` of shares ``x``, and its gradients at ``out`` and at the average."""
+    hidden = x @ rows
+    z = out @ hidden
+    p = np.exp(z - z.max())
+    p /= p.sum()
+    loss = -np.log(p[y])
+    p[y] -= 1.0
+    return float(loss), np.outer(p, hidden), p @ out
+
+
 def train(rows: list[tuple[int, np.ndarray, np.ndarray]], epochs: int = 8, rate: float = 0.5, seed: int = 11) -> Model:
     """Stochastic gradient descent over (label, buckets, counts)."""
     labels = np.array([r[0] for r in rows])
@@ -123,16 +137,10 @@ def train(rows: list[tuple[int, np.ndarray, np.ndarray]], epochs: int = 8, rate:
             y, b, x = data[i]
             step = rate * (1 - t / steps) + 1e-3
             t += 1
-            rows_b = vectors[b]
-            hidden = x @ rows_b
-            z = out @ hidden
-            p = np.exp(z - z.max())
-            p /= p.sum()
-            p[y] -= 1.0
-            pull = p @ out
-            out -= step * np.outer(p, hidden)
+            _, at_out, at_hidden = loss_and_gradients(vectors[b], out, y, x)
+            out -= step * at_out
             # the mean's gradient is shared by all its features; scaled so that a feature's step does not vanish with length
-            vectors[b] = rows_b - (step * x * min(len(b), 400))[:, None] * pull[None, :]
+            vectors[b] -= (step * x * min(len(b), 400))[:, None] * at_hidden[None, :]
     return Model(vectors @ (out[1] - out[0]))
 
 
