@@ -29,7 +29,7 @@ from textfactor.llm.scratch import Scratch
 
 COSINE = 0.9
 CELL = 6000
-MAX_PIVOTS = 512
+MIN_PIVOTS, MAX_PIVOTS = 4, 512
 SLICE = 8192
 MET = 16_384
 TILE = 2048
@@ -142,7 +142,7 @@ def link_vectors(vectors: DataFrame, cosine: float = COSINE, id_col: str = "vec_
     parts = None
     for row in nodes.groupBy(F.size("v").alias("dim")).agg(F.count("*").alias("n")).collect():
         dim, n = row["dim"], row["n"]
-        k = min(MAX_PIVOTS, max(1, n // CELL))
+        k = min(n, MAX_PIVOTS, max(MIN_PIVOTS, n // CELL))
         # a bounded sample: the k smallest node hashes, which are independent of the vectors' places
         sample = nodes.where(F.size("v") == dim).orderBy(F.xxhash64("node"), "node").limit(k).select("v").collect()
         pivots = _units(np.array([s["v"] for s in sample], np.float64))
