@@ -95,6 +95,22 @@ def test_index_covers_the_radius():
         assert 0 in item.tolist()
 
 
+def test_radius_recall():
+    """Windows made from items by edits down to a similarity of 0.8: at least 0.98 of them are within the radius."""
+    rng = np.random.default_rng(8)
+    met = found = 0
+    for _ in range(400):
+        m = int(rng.integers(8, 80))
+        h = rng.integers(1, 2**63, m).astype(np.uint64)
+        w = h.copy()
+        drop = int(m * 0.2 / 1.8)  # the rest has a similarity of 0.8 at least
+        w[rng.choice(m, drop, replace=False)] = rng.integers(1, 2**63, drop).astype(np.uint64)
+        a, b = (decontaminate.fingerprints(x, np.zeros(1, np.int64), m)[0] for x in (h, w))
+        met += 1
+        found += int(np.bitwise_count(a ^ b)) <= decontaminate.RADIUS
+    assert found >= 0.98 * met
+
+
 def test_decontamination_query(spark, sf):
     got = {(r["doc_id"], r["item_id"]) for r in decontaminate.op8_decontamination(spark, sf).collect()}
     items = {r["item_id"]: bags(r["text"]) for r in spark.read.parquet(f"{sf}/benchmark.parquet").collect()}

@@ -9,6 +9,7 @@ import zlib
 from collections import Counter, defaultdict
 
 import numpy as np
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
@@ -262,3 +263,88 @@ def test_registered_oracles():
 
     assert set(queries.oracle_sql()) <= set(queries.queries()) and len(queries.queries()) == 10
     json.dumps(list(queries.queries()))
+
+
+def test_quality_gradients():
+    """The gradients of the softmax over an average against differences of the loss."""
+    from textfactor.llm import quality
+
+    rng = np.random.default_rng(5)
+    rows, out, x = rng.normal(size=(6, 4)), rng.normal(size=(2, 4)), rng.dirichlet(np.ones(6))
+    for y in (0, 1):
+        loss, at_out, at_hidden = quality.loss_and_gradients(rows, out, y, x)
+        for i in range(2):
+            for j in range(4):
+                moved = out.copy()
+                moved[i, j] += 1e-6
+                assert abs((quality.loss_and_gradients(rows, moved, y, x)[0] - loss) / 1e-6 - at_out[i, j]) < 1e-4
+        for i in range(6):
+            for j in range(4):
+                moved = rows.copy()
+                moved[i, j] += 1e-6
+                assert abs((quality.loss_and_gradients(moved, out, y, x)[0] - loss) / 1e-6 - x[i] * at_hidden[j]) < 1e-4
+
+
+def test_quality_scores_by_brute_force(spark, sf):
+    """Scores from the learned weights, feature by feature in plain Python."""
+    from textfactor.llm import quality
+    from textfactor.llm.textscan import Words
+
+    m64 = 2**64 - 1
+
+    def mix(x, seed):
+        x = (x + 0x9E3779B97F4A7C15 * (seed + 1)) & m64
+        x = ((x ^ (x >> 30)) * 0xBF58476D1CE4E5B9) & m64
+        x = ((x ^ (x >> 27)) * 0x94D049BB133111EB) & m64
+        return x ^ (x >> 31)
+
+    def gram(raw, n):
+        code = int.from_bytes(raw, "little")
+        code = (code * 0x9E3779B1) % 2**32
+        code ^= code >> 15
+        code = (code * (2 * n + 0x85EBCA6B)) % 2**32
+        return (code >> 8) % (quality.BUCKETS - 1) + 1
+
+    docs = spark.read.parquet(f"{sf}/documents.parquet").select("doc_id", "text")
+    model = quality.fit(docs, spark.read.parquet(f"{sf}/labels.parquet"))
+    some = {r["doc_id"]: r["text"] or "" for r in docs.orderBy("doc_id").limit(25).collect()} | {-1: "", -2: "a a a b", -3: "x"}
+    df = spark.createDataFrame(list(some.items()), "doc_id long, text string")
+    got = {r["doc_id"]: r["score"] for r in quality.score(df, model).collect()}
+    for d, t in some.items():
+        words = [int(h) for h in Words(pa.array([t])).hash]
+        raw = t.encode()
+        buckets = [0] + [h % (quality.BUCKETS - 1) + 1 for h in words]
+        for a, b in zip(words, words[1:]):
+            buckets.append((int(quality._SAME) if a == b else mix((a * 0xD6E8FEB86659FD93 + b) & m64, 21)) % (quality.BUCKETS - 1) + 1)
+        buckets += [gram(raw[i : i + n], n) for n in quality.GRAMS for i in range(len(raw) - n + 1)]
+        z = sum(float(model.weight[b]) for b in buckets) / len(buckets)
+        assert abs(got[d] - 1 / (1 + np.exp(-min(50, max(-50, z))))) < 1e-6, d
+
+
+def test_lm_score_by_brute_force(spark, monkeypatch):
+    """The whole score: forward recursion over the classes of the words, and each word's share of its class; rare words joined."""
+    from textfactor.llm.textscan import Words
+
+    learned, fit = [], hmm.baum_welch
+    monkeypatch.setattr(hmm, "baum_welch", lambda *a: learned.append(fit(*a)) or learned[-1])
+    random.seed(6)
+    words = [random.choice("kqxz") + random.choice(["ing", "ed", "ion", "o", "a"]) for _ in range(30)]
+    docs = {i: " ".join(random.choices(words, k=random.randint(0, 25))) for i in range(40)} | {50: None, 51: "", 52: "new ing"}
+    df = spark.createDataFrame(list(docs.items()), "doc_id long, text string")
+    got = {r["doc_id"]: r for r in hmm.score_texts(df, F.col("doc_id") < 30, rounds=2, head=5).collect()}
+    model = learned[0][0]
+    end = object()
+    tokens = {d: [*(t or "").split(), end] for d, t in docs.items()}
+    cls = {w: int(hmm._classes(Words(pa.array([w]), tail=hmm.TAIL))[0]) for t in tokens.values() for w in t if w is not end} | {end: 0}
+    n = Counter(w for d, t in tokens.items() if d < 30 for w in t)
+    in_class, kinds = Counter(), Counter()
+    for w, k in n.items():
+        in_class[cls[w]] += k
+        kinds[cls[w]] += 1
+    for d, t in tokens.items():
+        share = sum(math.log10((n[w] + 0.1) / (in_class[cls[w]] + 0.1 * (kinds[cls[w]] + 1))) for w in t)
+        state, log = model.start * model.emit[:, cls[t[0]]], 0.0
+        for w in t[1:]:
+            log += math.log10(state.sum())
+            state = (state / state.sum()) @ model.move * model.emit[:, cls[w]]
+        assert abs(got[d]["score"] - (share + log + math.log10(state.sum()))) < 1e-3 * len(t), d

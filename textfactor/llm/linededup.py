@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from textfactor.llm.scratch import Scratch
+from textfactor.llm.scratch import Scratch, fresh
 from textfactor.llm.textscan import tidy
 
 BATCHES = 4
@@ -138,7 +138,7 @@ def dedup_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
         store.add(lines.where(F.col("batch") == k).select("h1", "h2", "doc"))
     hot = scratch.save(store.repeated(min_docs), "hot")
     extra = [(c, "long") for c in (n_lines, n_dropped) if c]
-    names = docs.columns
+    names, key, gone_col = docs.columns, fresh(docs, "key_of_row"), fresh(docs, "lines_to_drop")
     at, text_kind = names.index(text_col), docs.schema
     kinds = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in text_kind) + "".join(f", `{c}` {k}" for c, k in extra)
 
@@ -169,14 +169,14 @@ def dedup_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
                 ids = b.column(len(names)).to_pylist()
                 yield rewrite(b, ids, lambda i, d, h: (t := top.get(h)) is not None and t != d, extra_names)
 
-        return docs.withColumn("__id", _no_null(id_col)).mapInArrow(by_set, kinds)
+        return docs.withColumn(key, _no_null(id_col)).mapInArrow(by_set, kinds)
 
     doomed = (
         lines.join(hot, ["h1", "h2"])
         .where(F.col("top") != F.col("doc"))
         .groupBy("doc")
-        .agg(F.collect_set(F.struct("h1", "h2")).alias("__gone"))  # a document's own lines
-        .withColumnRenamed("doc", "__id")
+        .agg(F.collect_set(F.struct("h1", "h2")).alias(gone_col))  # a document's own lines
+        .withColumnRenamed("doc", key)
     )
 
     def by_list(it):
@@ -187,7 +187,8 @@ def dedup_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
             ]
             yield rewrite(b, gone, lambda i, d, h: h in d, extra_names)
 
-    return docs.withColumn("__id", _no_null(id_col)).join(doomed, "__id", "left").select(*[F.col(f"`{c}`") for c in names], "__gone").mapInArrow(by_list, kinds)
+    both = docs.withColumn(key, _no_null(id_col)).join(doomed, key, "left")
+    return both.select(*[F.col(f"`{c}`") for c in names], gone_col).mapInArrow(by_list, kinds)
 
 
 def op6_line_dedup(spark, sf_dir: str) -> DataFrame:
