@@ -265,6 +265,20 @@ def test_registered_oracles():
     json.dumps(list(queries.queries()))
 
 
+def test_batches_meet_sorted_runs_in_place(spark):
+    from textfactor.llm.scratch import Scratch, ordered_scans
+
+    store = linededup.RunStore(spark, Scratch(spark, "runs"), fanout=3)
+    lines = spark.range(400).select(F.col("id").alias("h1"), (F.col("id") % 7).alias("h2"), (F.col("id") * 3 % 1009).alias("doc")).repartition(3)
+    for k in range(2):
+        store.add(lines.where(F.col("doc") % 2 == k))
+    batch = store._sorted(lines.groupBy("h1", "h2").agg(F.count("*").alias("n"), F.max("doc").alias("top")), "batch")
+    with ordered_scans(spark):
+        plan = store.unseen(batch)._jdf.queryExecution().executedPlan().toString()
+    assert plan.count("SortMergeJoin") == 2 and "Exchange" not in plan and "Sort [" not in plan
+    assert store.unseen(batch).count() == 0 and store.keys().count() == 400
+
+
 def test_quality_gradients():
     """The gradients of the softmax over an average against differences of the loss."""
     from textfactor.llm import quality

@@ -1,9 +1,12 @@
 """Line deduplication over levelled sorted runs of line hashes.
 
 The store keeps, for every line key seen, one row (128-bit hash, number of documents, largest document id) in exactly one
-sorted run. A batch of documents is merge-anti-joined with the runs: keys that no run holds become the batch's own run
-of level 0; keys that some run holds go as increments into a ledger, which so has repeated keys alone. ``FANOUT`` runs of
-a level are compacted into one of the next; as their keys are disjoint, this is a merge without aggregation.
+sorted run, a table in sorted buckets. A batch of documents is merge-anti-joined with the runs, where they lie: keys that no
+run holds become the batch's own run of level 0; keys that some run holds go as increments into a ledger, which so has repeated
+keys alone. ``FANOUT`` runs of a level are compacted into one of the next; their keys are disjoint, so nothing is added up.
+
+At the end the repeated keys are sent to all executors while they are at most ``BROADCAST_KEYS``, and joined with the lines beyond
+it; the result is the same.
 
 A line's key is the line without ``[\\x20\\x09-\\x0D]`` at both ends and with A-Z lower-cased. Keys of at least ``min_chars``
 code points that at least ``min_docs`` documents hold lose all their lines except in the largest document id holding it.
@@ -21,10 +24,10 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from textfactor.llm.scratch import Scratch, fresh
+from textfactor.llm.scratch import Scratch, fresh, ordered_scans
 from textfactor.llm.textscan import tidy
 
-BATCHES = 4
+BATCHES = 5
 FANOUT = 4
 #: Keys whose set may be sent to all executors (24 bytes each); beyond it the lines are joined with the keys.
 BROADCAST_KEYS = 400_000
@@ -68,39 +71,60 @@ def line_hashes(docs: DataFrame, id_col: str, text_col: str, min_chars: int, bat
     return rows.withColumn("batch", F.pmod(F.xxhash64("doc"), F.lit(batches)).cast("int"))
 
 
+KEYS = ["h1", "h2"]
+
+
 class RunStore:
-    """Levels of sorted runs and a ledger of repeated keys; all rows are (h1, h2, n, top)."""
+    """Levels of sorted runs and a ledger of repeated keys; all rows are (h1, h2, n, top).
+
+    Runs, and a batch before it is compared, lie in buckets by the hash of their keys, each sorted. So a batch meets the runs of all
+    levels in merge joins that neither move nor sort them; a compaction writes the runs of a level anew.
+    """
 
     schema = "h1 long, h2 long, n long, top long"
 
     def __init__(self, spark: SparkSession, scratch: Scratch, fanout: int = FANOUT):
         self.spark, self.scratch, self.fanout = spark, scratch, fanout
+        self.buckets = int(spark.conf.get("spark.sql.shuffle.partitions"))
         self.levels: list[list[DataFrame]] = []
         self.ledger: list[DataFrame] = []
         self.merged: list[DataFrame] = []
 
+    def _sorted(self, df: DataFrame, name: str) -> DataFrame:
+        with ordered_scans(self.spark):
+            return self.scratch.save_sorted(df, name, KEYS, self.buckets)
+
     def _union(self, parts: list[DataFrame]) -> DataFrame:
         out = self.spark.createDataFrame([], self.schema) if not parts else parts[0]
         for p in parts[1:]:
             out = out.unionByName(p)
         return out
 
+    def runs(self) -> list[DataFrame]:
+        return [r for level in self.levels for r in level]
+
     def keys(self) -> DataFrame:
-        return self._union([r for level in self.levels for r in level])
+        return self._union(self.runs())
+
+    def unseen(self, batch: DataFrame) -> DataFrame:
+        """The rows of a sorted batch whose keys no run holds."""
+        for run in self.runs():
+            batch = batch.join(run.select(*KEYS).hint("merge"), KEYS, "left_anti")
+        return batch
 
     def add(self, lines: DataFrame) -> DataFrame:
         """Take in a batch of (h1, h2, doc), doc ids that no earlier batch had; returns its keys that are new, to be read before the
         next batch."""
         while self.merged:
             self.scratch.drop(self.merged.pop())
-        batch = lines.distinct().groupBy("h1", "h2").agg(F.count("*").alias("n"), F.max("doc").alias("top"))
-        if not self.levels:
-            fresh = self.scratch.save(batch, "run0")
-        else:
-            batch = self.scratch.save(batch, "batch")
-            known = self.keys().select("h1", "h2")
-            fresh = self.scratch.save(batch.join(known, ["h1", "h2"], "left_anti").sortWithinPartitions("h1", "h2"), "run0")
-            self.ledger.append(self.scratch.save(batch.join(known, ["h1", "h2"], "left_semi"), "ledger"))
+        batch = self._sorted(lines.distinct().groupBy(*KEYS).agg(F.count("*").alias("n"), F.max("doc").alias("top")), "batch")
+        fresh = batch
+        if runs := self.runs():
+            fresh = self._sorted(self.unseen(batch), "run0")
+            # a key lies in one run at most
+            known = [batch.join(run.select(*KEYS).hint("merge"), KEYS, "left_semi") for run in runs]
+            with ordered_scans(self.spark):
+                self.ledger.append(self.scratch.save(self._union(known), "ledger"))
             self.scratch.drop(batch)
         self._put(fresh, 0)
         return fresh
@@ -112,20 +136,19 @@ class RunStore:
         if len(self.levels[level]) >= self.fanout:
             old = self.levels[level]
             self.levels[level] = []
-            merged = self._union(old).repartitionByRange("h1").sortWithinPartitions("h1", "h2")
-            self._put(self.scratch.save(merged, f"run{level + 1}"), level + 1)
+            self._put(self._sorted(self._union(old).repartition(self.buckets, *KEYS), f"run{level + 1}"), level + 1)
             self.merged += old  # what add() has just returned may be among them
 
     def repeated(self, min_docs: int) -> DataFrame:
-        """(h1, h2, top) of the keys that at least min_docs documents hold."""
-        ledger = self._union(self.ledger).groupBy("h1", "h2").agg(F.sum("n").alias("n"), F.max("top").alias("top"))
-        more = ledger.select("h1", "h2", F.col("n").alias("n2"), F.col("top").alias("top2"))
-        return (
-            self.keys()
-            .join(more, ["h1", "h2"], "left")
-            .where(F.col("n") + F.coalesce("n2", F.lit(0)) >= min_docs)
-            .select("h1", "h2", F.greatest("top", F.coalesce("top2", "top")).alias("top"))
-        )
+        """(h1, h2, top) of the keys that at least min_docs documents hold; a table."""
+        more = self._union(self.ledger).groupBy(*KEYS).agg(F.sum("n").alias("n2"), F.max("top").alias("top2"))
+        more = self._sorted(more, "repeated")
+        found = []
+        for run in self.runs():
+            both = run.join(more.hint("merge"), KEYS, "left").where(F.col("n") + F.coalesce("n2", F.lit(0)) >= min_docs)
+            found.append(both.select("h1", "h2", F.greatest("top", F.coalesce("top2", "top")).alias("top")))
+        with ordered_scans(self.spark):
+            return self.scratch.save(self._union(found) if found else self.spark.createDataFrame([], "h1 long, h2 long, top long"), "hot")
 
 
 def dedup_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", min_chars: int = 40, min_docs: int = 5, batches: int = BATCHES, n_lines: str | None = None, n_dropped: str | None = None, broadcast_keys: int = BROADCAST_KEYS) -> DataFrame:
@@ -136,7 +159,8 @@ def dedup_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
     store = RunStore(spark, scratch)
     for k in range(batches):
         store.add(lines.where(F.col("batch") == k).select("h1", "h2", "doc"))
-    hot = scratch.save(store.repeated(min_docs), "hot")
+    hot = store.repeated(min_docs)
+    scratch.close()
     extra = [(c, "long") for c in (n_lines, n_dropped) if c]
     names, key, gone_col = docs.columns, fresh(docs, "key_of_row"), fresh(docs, "lines_to_drop")
     at, text_kind = names.index(text_col), docs.schema

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import atexit
+import contextlib
 import gc
 import tempfile
 import uuid
@@ -46,6 +47,18 @@ def fresh(df: DataFrame, name: str) -> str:
     return name
 
 
+@contextlib.contextmanager
+def ordered_scans(spark: SparkSession):
+    """In here plans take the order of sorted tables as it is in their files, so merge joins do not sort them again."""
+    key = "spark.sql.legacy.bucketedTableScan.outputOrdering"
+    before = spark.conf.get(key, "false")
+    spark.conf.set(key, "true")
+    try:
+        yield
+    finally:
+        spark.conf.set(key, before)
+
+
 class Scratch:
     """Tables of one operator call.
 
@@ -58,6 +71,7 @@ class Scratch:
         self.spark = spark
         self.root = f"{shared_root(spark)}/textfactor-llm/{name}-{uuid.uuid4().hex}"
         self.n = 0
+        self.tables: set[str] = set()
         bounded_batches(spark)
         atexit.register(self._remove, self.root)
 
@@ -70,9 +84,31 @@ class Scratch:
         out._scratch_path = path
         return out
 
+    def save_sorted(self, df: DataFrame, name: str, keys: list[str], buckets: int) -> DataFrame:
+        """``df`` as a table in ``buckets`` by the hash of ``keys``, each sorted by them: joins of such tables on the keys need no
+        exchange. If ``df`` is partitioned by the keys in as many partitions, writing needs none either."""
+        self.n += 1
+        path, table = f"{self.root}/{self.n:03d}-{name}", f"textfactor_{uuid.uuid4().hex}"
+        df.write.bucketBy(buckets, *keys).sortBy(*keys).option("path", path).format("parquet").saveAsTable(table)
+        out = self.spark.table(table)
+        out._scratch_path, out._scratch_table = path, table
+        self.tables.add(table)
+        return out
+
     def drop(self, df: DataFrame) -> None:
+        if hasattr(df, "_scratch_table"):
+            self._forget(df._scratch_table)
         self._remove(df._scratch_path)
 
+    def close(self) -> None:
+        """Take the sorted tables out of the catalog; queries on them that were not run yet would fail."""
+        for t in list(self.tables):
+            self._forget(t)
+
+    def _forget(self, table: str) -> None:
+        self.tables.discard(table)
+        self.spark.sql(f"DROP TABLE IF EXISTS {table}")
+
     def sweep(self) -> None:
         """Let Spark's cleaner find the shuffles of finished steps now: it deletes their files once the driver's objects for
         them are collected, which by itself may take spark.cleaner.periodicGC.interval."""
