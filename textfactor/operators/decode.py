@@ -2,15 +2,13 @@
 
 from __future__ import annotations
 
-import math
-
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, Observation, Window
 from pyspark.sql import functions as F
 
 from textfactor.functions import kernels as K
-from textfactor.operators.graph import WIDTH, batch_parents, buckets, nested_kernel
+from textfactor.operators.graph import WIDTH, batch_parents, buckets, grid_width, nested_kernel
 from textfactor.plans.scratch import Scratch
 
 MAX_ROUNDS = 4096
@@ -69,13 +67,6 @@ def _on_grid(tiles: DataFrame, width: int) -> DataFrame:
     return cut.select("text_id", "bucket", a.alias("p_dst"), (F.col("src") + a - F.col("dst")).alias("p_src"), (b - a).alias("p_len"), F.col("final").alias("p_final"))
 
 
-def grid_width(tiles: DataFrame) -> int:
-    """A grid for overlap joins: four mean lengths wide, so tiles are cut to at most a quarter more pieces however long they
-    are, and a bucket holds few of them."""
-    mean = tiles.agg(F.avg("len")).first()[0] or 1.0
-    return max(WIDTH, 1 << math.ceil(math.log2(4 * mean)))
-
-
 def advance(requests: DataFrame, parents: DataFrame, width: int = WIDTH) -> DataFrame:
     """One round: every request is moved to the sources of the tiles that hold its own source, and split where they end."""
     r = requests.withColumn("bucket", buckets("src", "len", width))

@@ -6,6 +6,8 @@ kept in the bucket of its start.
 
 from __future__ import annotations
 
+import math
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
@@ -20,8 +22,16 @@ def buckets(start: str, size: str, width: int = WIDTH) -> Column:
     return F.explode(F.expr(f"sequence({start} div {width}, ({start} + {size} - 1) div {width})"))
 
 
-def dependency_edges(factors: DataFrame, width: int = WIDTH) -> DataFrame:
+def grid_width(pieces: DataFrame) -> int:
+    """A grid for overlap joins: four mean lengths wide, so pieces are cut to at most a quarter more however long they are, and a
+    bucket holds few of them."""
+    mean = pieces.agg(F.avg("len")).first()[0] or 1.0
+    return max(WIDTH, 1 << math.ceil(math.log2(4 * mean)))
+
+
+def dependency_edges(factors: DataFrame, width: int | None = None) -> DataFrame:
     """``text_id, child_no, parent_no, ov_start, ov_len, contained``; ``contained``: the parent holds the whole source."""
+    width = width or grid_width(factors)
     kids = factors.where("src IS NOT NULL").select(
         "text_id", F.col("factor_no").alias("child_no"), F.col("src").alias("s"), F.col("len").alias("n"), buckets("src", "len", width).alias("bucket")
     )

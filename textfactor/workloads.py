@@ -232,7 +232,9 @@ def _(spark, sf):
     return _global(spark, sf).factors(2)
 
 
-@query("uni_single_text", _uni_sql(ONE.format(B)).replace("range(1, length(t) - pos + 2)", "range(1, least(1000, length(t) - pos + 1) + 1)") + " SELECT pos AS dst, n AS len FROM phrase WHERE n >= 2")
+@query("uni_single_text", f"""WITH RECURSIVE phrase AS (SELECT text AS t, CAST(1 AS BIGINT) AS pos, CAST(1 AS BIGINT) AS n FROM ({ONE.format(B)}) UNION ALL
+    SELECT t, q, coalesce(list_max(list_filter(range(2, least(1000, length(t) - q + 1) + 1), lambda k: strpos(substr(t, 1, q + k - 2), substr(t, q, k)) > 0)), 1)
+    FROM (SELECT t, pos + n AS q FROM phrase) WHERE q <= length(t)) SELECT pos AS dst, n AS len FROM phrase WHERE n >= 2""")
 def _(spark, sf):
     return _global(spark, sf).unidirectional(2).select("dst", "len")
 
@@ -521,11 +523,10 @@ def _(spark, sf):
     return decode.extract(_coded(read_texts(spark, sf, "benchmark")), 21, 60)
 
 
-def _single_coding(spark, sf, table: str, min_len: int) -> DataFrame:
-    """The coding of a table as one text, without any row or task that holds the text."""
+def _single_coding(spark, blocks: DataFrame, min_len: int) -> DataFrame:
+    """The coding of one text in blocks, without any row or task that holds the text."""
     from textfactor.plans.scratch import Scratch
 
-    blocks = corpus.single_text(read_texts(spark, sf, table))
     f = coding.encode_blocks(GlobalText(blocks).factors(min_len), blocks)
     return Scratch(spark, "single").save(f.withColumn("text_id", F.lit(0).cast("long")), "coding")
 
@@ -545,8 +546,30 @@ def _cells_sql(src: str, cell: int = 1 << 14) -> str:
     SELECT cell, md5(substr(text, cell * {cell} + 1, {cell})) AS digest FROM i"""
 
 
-for _table, _min in (("benchmark", 2), ("conversations", 2)):
-    query(f"single_text_roundtrip_{_table}", _cells_sql(SRC[_table]))(lambda spark, sf, t=_table, m=_min: _single_digests(spark, _single_coding(spark, sf, t, m)))
+for _table, _min in (("benchmark", 2), ("conversations", 2), ("pages", 4)):
+    query(f"single_text_roundtrip_{_table}", _cells_sql(SRC[_table]))(
+        lambda spark, sf, t=_table, m=_min: _single_digests(spark, _single_coding(spark, corpus.single_text(read_texts(spark, sf, t)), m))
+    )
+
+
+@query("single_text_roundtrip_letters", _cells_sql(LETTERS_SQL).replace("text || chr(10)", "text"))
+def _(spark, sf):
+    return _single_digests(spark, _single_coding(spark, corpus.single_text(corpus.lineitem_letters(read_table(spark, sf, "lineitem")), ""), 2))
+
+
+@query("uni_single_text_letters")
+def _(spark, sf):
+    """References, coverage and factors of both schemes for the letters as one text over the cluster, and of the kernels in one task."""
+    t = corpus.lineitem_letters(read_table(spark, sf, "lineitem"))
+    g = GlobalText(corpus.single_text(t, ""))
+    whole = corpus.lineitem_letters_whole(read_table(spark, sf, "lineitem"))
+    out = None
+    for name, refs, again in (("bidirectional", g.factors(2), factorize.factorize(whole)), ("unidirectional", g.unidirectional(2), factorize.parse_unidirectional(whole))):
+        for where, r in (("cluster", refs), ("task", again)):
+            c = r.agg(F.count("*").alias("n_refs"), F.sum("len").alias("covered"), F.bit_xor(F.xxhash64("dst", "len")).alias("mark"))
+            c = c.select(F.lit(name).alias("scheme"), F.lit(where).alias("where"), "*")
+            out = c if out is None else out.unionByName(c)
+    return out
 
 
 @query("jump_rounds")
