@@ -274,9 +274,9 @@ def test_batches_meet_sorted_runs_in_place(spark):
         store.add(lines.where(F.col("doc") % 2 == k))
     batch = store._sorted(lines.groupBy("h1", "h2").agg(F.count("*").alias("n"), F.max("doc").alias("top")), "batch")
     with ordered_scans(spark):
-        plan = store.unseen(batch)._jdf.queryExecution().executedPlan().toString()
+        plan = store.marked(batch)._jdf.queryExecution().executedPlan().toString()
     assert plan.count("SortMergeJoin") == 2 and "Exchange" not in plan and "Sort [" not in plan
-    assert store.unseen(batch).count() == 0 and store.keys().count() == 400
+    assert store.marked(batch).where("not known").count() == 0 and store.keys().count() == 400
 
 
 def test_quality_gradients():

@@ -89,6 +89,7 @@ class RunStore:
         self.levels: list[list[DataFrame]] = []
         self.ledger: list[DataFrame] = []
         self.merged: list[DataFrame] = []
+        self.kept: list[DataFrame] = []
 
     def _sorted(self, df: DataFrame, name: str) -> DataFrame:
         with ordered_scans(self.spark):
@@ -106,11 +107,13 @@ class RunStore:
     def keys(self) -> DataFrame:
         return self._union(self.runs())
 
-    def unseen(self, batch: DataFrame) -> DataFrame:
-        """The rows of a sorted batch whose keys no run holds."""
-        for run in self.runs():
-            batch = batch.join(run.select(*KEYS).hint("merge"), KEYS, "left_anti")
-        return batch
+    def marked(self, batch: DataFrame) -> DataFrame:
+        """A sorted batch and whether some run holds the key: one pass that merges the batch with all runs."""
+        known = F.lit(False)
+        for k, run in enumerate(self.runs()):
+            batch = batch.join(run.select(*KEYS, F.lit(True).alias(f"in{k}")).hint("merge"), KEYS, "left")
+            known = known | F.col(f"in{k}").isNotNull()
+        return batch.select(*KEYS, "n", "top", known.alias("known"))
 
     def add(self, lines: DataFrame) -> DataFrame:
         """Take in a batch of (h1, h2, doc), doc ids that no earlier batch had; returns its keys that are new, to be read before the
@@ -118,16 +121,16 @@ class RunStore:
         while self.merged:
             self.scratch.drop(self.merged.pop())
         batch = self._sorted(lines.distinct().groupBy(*KEYS).agg(F.count("*").alias("n"), F.max("doc").alias("top")), "batch")
-        fresh = batch
-        if runs := self.runs():
-            fresh = self._sorted(self.unseen(batch), "run0")
-            # a key lies in one run at most
-            known = [batch.join(run.select(*KEYS).hint("merge"), KEYS, "left_semi") for run in runs]
-            with ordered_scans(self.spark):
-                self.ledger.append(self.scratch.save(self._union(known), "ledger"))
+        run = batch
+        if self.levels:
+            both = self._sorted(self.marked(batch), "run0")
             self.scratch.drop(batch)
-        self._put(fresh, 0)
-        return fresh
+            self.ledger.append(both.where("known").drop("known"))
+            run = both.where("not known").drop("known")
+            # the ledger's rows lie in the run's files, so these stay
+            self.kept.append(both)
+        self._put(run, 0)
+        return run
 
     def _put(self, run: DataFrame, level: int) -> None:
         while len(self.levels) <= level:
@@ -137,7 +140,7 @@ class RunStore:
             old = self.levels[level]
             self.levels[level] = []
             self._put(self._sorted(self._union(old).repartition(self.buckets, *KEYS), f"run{level + 1}"), level + 1)
-            self.merged += old  # what add() has just returned may be among them
+            self.merged += [r for r in old if hasattr(r, "_scratch_path")]  # what add() has just returned may be among them
 
     def repeated(self, min_docs: int) -> DataFrame:
         """(h1, h2, top) of the keys that at least min_docs documents hold; a table."""
