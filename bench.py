@@ -9,7 +9,8 @@ import time
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
 
-from textfactor.operators import coding, compact, decode, factorize, measures
+from textfactor.operators import coding, compact, decode, experiments, factorize, measures
+from textfactor.operators.global_text import GlobalText
 from textfactor.plans.scratch import Scratch
 from textfactor.sources import corpus
 from textfactor.sources.io import read_table, read_texts
@@ -56,6 +57,19 @@ def main() -> None:
         both = {r["scheme"]: r for r in timed(f"counts_{name}", lambda: measures.compare_schemes(texts).collect())}
         measured[f"{name}_factor_ratio"] = round(both["bidirectional"]["n_factors"] / both["unidirectional"]["n_factors"], 4)
         timed(f"factorize_{name}", lambda: factorize.factorize(texts).write.format("noop").mode("overwrite").save())
+        # the published setting: a prefix as one text in one task, arrays left out, median of three
+        whole = experiments.prefixes(texts, (1,), "") if name == "letters" else experiments.prefixes(texts, (4,))
+        table = timed(f"single_{name}", lambda: experiments.compress(whole, name, [2], "prefixes").collect())
+        for r in table:
+            if r["metric"] in ("GiB_per_h", "factor_ratio", "references"):
+                measured[f"single_{name}_{r['method']}_{r['metric']}"] = round(r["value"], 4 if r["metric"] == "factor_ratio" else 1)
+        # throughput by wall time, arrays included
+        measured[f"{name}_wall_GiB_per_h"] = round(symbols / 2**30 / (queries[f"factorize_{name}"] / 3600), 2)
+    blocks = scratch.save(corpus.single_text(letters, ""), "blocks")
+    for scheme in ("factors", "unidirectional"):
+        disk, seconds, _ = experiments.disk_of(spark, lambda: getattr(GlobalText(blocks), scheme)(2).count())
+        queries[f"cluster_{scheme}_letters"] = round(seconds, 3)
+        measured[f"cluster_{scheme}_letters_disk_MB"] = round(disk / 1e6, 1)
     f = timed("encode_documents", lambda: scratch.save(coding.encode(factorize.factorize(docs, 8), docs), "coding"))
     timed("decode_memory_documents", lambda: decode.decode_memory(f).write.format("noop").mode("overwrite").save())
     g = timed("encode_pages", lambda: scratch.save(coding.encode(factorize.factorize(pages, 8), pages), "coding"))
@@ -66,7 +80,7 @@ def main() -> None:
     measured["decode_jump_factors_per_h"] = round(n / (queries["decode_jump_pages"] / 3600))
     timed("compact_documents", lambda: compact.compact(f, True).write.format("noop").mode("overwrite").save())
     timed("sweep_documents", lambda: measures.sweep(docs, list(range(3, 9))).collect())
-    timed("entropy_documents", lambda: [measures.empirical_entropy(docs, k).collect() for k in range(4)])
+    timed("entropy_documents", lambda: measures.entropies(docs, [0, 1, 2, 3]).collect())
     print(json.dumps({"metric": "headline queries", "value": round(sum(queries.values()), 3), "unit": "sec", "queries": queries, "measures": measured, "sf": os.path.basename(sf_dir).removeprefix("sf")}))
 
 
