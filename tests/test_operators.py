@@ -169,6 +169,7 @@ def test_one_text_over_the_cluster(spark, monkeypatch):
 
     monkeypatch.setattr(global_text, "CELL", 64)
     monkeypatch.setattr(global_text, "PACK", 3)
+    monkeypatch.setattr(global_text, "LARGE", 4)
     random.seed(3)
     part = "".join(random.choices("ab", k=200))
     t = part[:150] + part[20:120] + part + "".join(random.choices(["the ", "fox "], k=20)) + "a" * 90

@@ -17,6 +17,7 @@ from textfactor.plans.scratch import Scratch
 
 CELL = 1 << 14
 PACK = 1 << 14
+LARGE = 1 << 16
 
 
 def _codes(text: str) -> np.ndarray:
@@ -265,7 +266,8 @@ class GlobalText:
             rows, last = rows + r["n"], r["q"]
         base = got.sparkSession.createDataFrame(base, "part int, rows long, first long")
         begun = F.when(F.col("island") == 0, F.col("first")).otherwise(F.col("rows") + F.col("begin"))
-        packed = got.join(F.broadcast(base), "part").select(F.floor(begun / PACK).alias("pack"), "pos", "reach")
+        steps = got.join(F.broadcast(base), "part").select(begun.alias("island"), "pos", "reach")
+        packed, known = self._split_large(self.scratch.save(steps, "steps"), min_len)
 
         def solve(pdf):
             import pandas as pd
@@ -274,10 +276,46 @@ class GlobalText:
             d, size = K.rounds_on_steps(pdf["pos"].to_numpy(np.int64), pdf["reach"].to_numpy(np.int64), min_len)
             return pd.DataFrame({"dst": d, "len": size})
 
-        refs = self.scratch.save(packed.groupBy("pack").applyInPandas(solve, "dst long, len long"), "refs")
+        refs = self.scratch.save(packed.groupBy("pack").applyInPandas(solve, "dst long, len long").unionByName(known), "refs")
         # the neighbours are needed at the starts of factors only: a semi-join prunes them before they are sorted
         return refs.join(self.phi().withColumnRenamed("pos", "dst").withColumnRenamed("phi", "src"), "dst").select("dst", "len", "src")
 
+    def _split_large(self, steps: DataFrame, min_len: int) -> tuple[DataFrame, DataFrame]:
+        """``pack, pos, reach`` in packs that a task solves, and the factors ``dst, len`` found on the way.
+
+        The leftmost largest value of a segment is a factor and parts it in two; so islands of over ``LARGE`` steps are split until
+        no segment has more, all of them at once in a round. A segment's largest value is one row of a grouped maximum.
+        """
+        sizes = steps.groupBy("island").agg(F.count("*").alias("n"))
+        large = sizes.where(F.col("n") > LARGE).select("island")
+        pack = F.floor(F.col("island") / PACK)
+        known = steps.sparkSession.createDataFrame([], "dst long, len long")
+        if not large.limit(1).count():
+            return steps.select(pack.alias("pack"), "pos", "reach"), known
+        small = steps.join(large, "island", "left_anti").select(pack.alias("pack"), "pos", "reach")
+        # segments are named by negative numbers: their first step's place in the text, or their island's number
+        first = -F.col("island") - 1
+        now = self.scratch.save(steps.join(large, "island").select(first.alias("pack"), "pos", "reach"), "segments")
+        for _ in range(64):
+            best = now.groupBy("pack").agg(F.max(F.struct((F.col("reach") - F.col("pos")).alias("v"), (-F.col("pos")).alias("p"))).alias("b"))
+            best = best.where(F.col("b.v") >= min_len).select("pack", (-F.col("b.p")).alias("d"), F.col("b.v").alias("len"))
+            best = self.scratch.save(best, "largest")
+            known = known.unionByName(best.select(F.col("d").alias("dst"), "len"))
+            both = now.join(best.withColumn("e", F.col("d") + F.col("len")).drop("len"), "pack")
+            right = (-F.col("e") - (1 << 48)).alias("pack")
+            left = both.where("pos < d").select("pack", "pos", F.least("reach", "d").alias("reach"))
+            # behind a factor a segment begins with what the last step before reaches
+            begin = both.where("pos <= e").groupBy("e").agg(F.max("reach").alias("reach"), F.max("pos").alias("last")).where("last < e")
+            parts = left.unionByName(both.where("pos >= e").select(right, "pos", "reach")).unionByName(begin.select(right, F.col("e").alias("pos"), "reach"))
+            parts = self.scratch.save(parts.where(F.col("reach") - F.col("pos") >= min_len), "segments")
+            large = parts.groupBy("pack").agg(F.count("*").alias("n")).where(F.col("n") > LARGE).select("pack")
+            large = self.scratch.save(large, "large")
+            small = small.unionByName(parts.join(large, "pack", "left_anti"))
+            now = parts.join(large, "pack", "left_semi")
+            if not large.limit(1).count():
+                return small, known
+        return small.unionByName(now), known
+
     def plcp(self) -> DataFrame:
         """``pos, plcp`` of all positions, filled from the last irreducible reach, by range partition."""
 
