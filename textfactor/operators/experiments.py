@@ -60,6 +60,9 @@ def compress(texts: DataFrame, dataset: str, lengths: list[int], workload: str,
                 phi = s.phi()
                 v = s.plcp(phi)
                 put("arrays", 0, symbols=len(t), suffix_order_s=order_s, plcp_s=time.perf_counter() - a - order_s)
+                # what the unidirectional scheme needs besides: the values in suffix order
+                lcp_s, _ = _timed(lambda: v[s.order], repeat)
+                put("arrays", 0, lcp_s=lcp_s)
                 gib = len(t) / 2**30
                 for m in lengths:
                     seconds, (d, size) = _timed(lambda: K.rounds_factors(v, first, m), repeat)

@@ -943,6 +943,26 @@ def _(spark, sf):
     return spark.sql("SELECT text_id, bd_decode(bd_encode(text, 2)) = text AS same FROM bd_conversations")
 
 
+@query("udf_scalars", _factors_sql(B, 2) + """, k AS (SELECT c.text_id, CAST(length(t) - 1 - coalesce(sum(len), 0) + count(dst) AS BIGINT) AS n_factors FROM c LEFT JOIN fac USING (text_id) GROUP BY c.text_id, t),
+    r AS (SELECT text_id, substr(any_value(t), arg_max(pos, plcp * 1000000 - pos), max(plcp)) AS longest FROM a GROUP BY text_id),
+    w AS (SELECT text_id, t, substr(t, pos, 1) AS ctx, substr(t, pos + 1, 1) AS sym FROM a WHERE pos < length(t) - 1),
+    n AS (SELECT text_id, t, ctx, sym, count(*) AS n FROM w GROUP BY ALL), m AS (SELECT text_id, t, ctx, sum(n) AS m, sum(n * log2(n)) AS s FROM n GROUP BY ALL),
+    h AS (SELECT text_id, round(sum(m * log2(m) - s) / any_value(length(t) - 1), 6) AS entropy FROM m GROUP BY text_id)
+    SELECT text_id, n_factors, longest, entropy FROM k JOIN r USING (text_id) JOIN h USING (text_id)""")
+def _(spark, sf):
+    sql_surface.register(spark)
+    read_texts(spark, sf, "benchmark").createOrReplaceTempView("bd_benchmark")
+    return spark.sql("SELECT text_id, bd_n_factors(text, 2) AS n_factors, bd_longest_repeat(text) AS longest, round(bd_entropy(text, 1), 6) AS entropy FROM bd_benchmark")
+
+
+@query("udaf_group_factors", _factors_sql(f"SELECT 0 AS text_id, string_agg(text, chr(10) ORDER BY text_id) AS text FROM ({B})", 2, 1000) + """
+    SELECT CAST(any_value(length(t)) - 1 - sum(len) + count(*) AS BIGINT) AS n_factors FROM c JOIN fac USING (text_id)""")
+def _(spark, sf):
+    sql_surface.register(spark)
+    read_texts(spark, sf, "benchmark").coalesce(1).sortWithinPartitions("text_id").createOrReplaceTempView("bd_benchmark")
+    return spark.sql("SELECT bd_group_factors(text) AS n_factors FROM bd_benchmark")
+
+
 @query("window_texts_daily", """SELECT CAST(epoch(time_bucket(INTERVAL '1 day', ts)) AS BIGINT) AS start, md5(string_agg(upper(substr(event_type, 1, 1)), '' ORDER BY ts, event_id)) AS digest FROM events GROUP BY 1""")
 def _(spark, sf):
     return streams.window_texts(read_table(spark, sf, "events")).select(F.col("start").cast("long").alias("start"), F.md5("text").alias("digest"))
