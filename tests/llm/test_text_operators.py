@@ -299,6 +299,17 @@ def test_quality_gradients():
                 assert abs((quality.loss_and_gradients(moved, out, y, x)[0] - loss) / 1e-6 - x[i] * at_hidden[j]) < 1e-4
 
 
+def test_packed_counts():
+    rng = np.random.default_rng(1)
+    for top in (2, 300, 70_000, 5_000_000_000):
+        c = np.where(rng.random(quality.BUCKETS) < 0.01, rng.integers(1, top, quality.BUCKETS), 0)
+        c[0] = top
+        at, share = quality.unpack(*quality.pack(c))
+        assert at.tolist() == np.flatnonzero(c).tolist() and np.allclose(share, c[at] / c.sum(), rtol=1e-5)
+    at, share = quality.unpack(*quality.pack(np.eye(1, quality.BUCKETS, 0, dtype=np.int64)[0]))
+    assert at.tolist() == [0] and share.tolist() == [1.0]
+
+
 def test_quality_scores_by_brute_force(spark, sf):
     """Scores from the learned weights, feature by feature in plain Python."""
     from textfactor.llm import quality

@@ -70,8 +70,25 @@ def _grams(raw: np.ndarray):
             yield ((code >> np.uint32(8)) % np.uint32(BUCKETS - 1)).astype(np.int32) + 1
 
 
+def pack(counts: np.ndarray) -> tuple[bytes, bytes]:
+    """The buckets of a document, ascending, and their counts: 16 low bits each behind the number of those under 2**16, and as few
+    bytes a count as the largest needs."""
+    at = np.flatnonzero(counts)
+    low = np.array([np.searchsorted(at, 1 << 16)], np.int32).tobytes()
+    return low + at.astype(np.uint16).tobytes(), counts[at].astype(np.min_scalar_type(int(counts.max(initial=0)))).tobytes()
+
+
+def unpack(buckets: bytes, counts: bytes) -> tuple[np.ndarray, np.ndarray]:
+    """The buckets and their shares of the document."""
+    low = np.frombuffer(buckets[:4], np.int32)[0]
+    at = np.frombuffer(buckets, np.uint16, offset=4).astype(np.int32)
+    at[low:] += 1 << 16
+    c = np.frombuffer(counts, f"u{len(counts) // len(at)}").astype(np.float32)
+    return at, c / c.sum()
+
+
 def sparse_counts(docs: DataFrame) -> DataFrame:
-    """``id, label, text`` to ``id, label, buckets, counts``; the last two hold 32-bit integers."""
+    """``id, label, text`` to ``id, label, buckets, counts``, the last two packed."""
 
     def run(batches):
         for batch in batches:
@@ -81,9 +98,8 @@ def sparse_counts(docs: DataFrame) -> DataFrame:
                 for g in grams:
                     c += np.bincount(g, minlength=BUCKETS)
                 c[0] = 1
-                at = np.flatnonzero(c)
-                cols[0].append(at.astype(np.int32).tobytes())
-                cols[1].append(c[at].astype(np.int32).tobytes())
+                for col, x in zip(cols, pack(c)):
+                    col.append(x)
             yield pa.RecordBatch.from_arrays(
                 [batch.column("id"), batch.column("label"), *(pa.array(x, pa.binary()) for x in cols)], ["id", "label", "buckets", "counts"]
             )
@@ -120,8 +136,8 @@ def loss_and_gradients(rows: np.ndarray, out: np.ndarray, y: int, x: np.ndarray)
     return float(loss), np.outer(p, hidden), p @ out
 
 
-def train(rows: list[tuple[int, np.ndarray, np.ndarray]], epochs: int = 8, rate: float = 0.5, seed: int = 11) -> Model:
-    """Stochastic gradient descent over (label, buckets, counts)."""
+def train(rows: list[tuple[int, bytes, bytes]], epochs: int = 8, rate: float = 0.5, seed: int = 11) -> Model:
+    """Stochastic gradient descent over (label, buckets, counts), the last two packed."""
     labels = np.array([r[0] for r in rows])
     share = labels.mean() if len(labels) else 0.5
     if len(set(labels.tolist())) < 2:
@@ -130,11 +146,10 @@ def train(rows: list[tuple[int, np.ndarray, np.ndarray]], epochs: int = 8, rate:
     rng = np.random.default_rng(seed)
     vectors = rng.uniform(-1 / DIM, 1 / DIM, (BUCKETS, DIM)).astype(np.float32)
     out = rng.normal(0, 1, (2, DIM)).astype(np.float32)
-    data = [(int(y), b, (c / c.sum()).astype(np.float32)) for y, b, c in rows]
-    steps, t = epochs * len(data), 0
+    steps, t = epochs * len(rows), 0
     for _ in range(epochs):
-        for i in rng.permutation(len(data)):
-            y, b, x = data[i]
+        for i in rng.permutation(len(rows)):
+            y, (b, x) = int(rows[i][0]), unpack(*rows[i][1:])
             step = rate * (1 - t / steps) + 1e-3
             t += 1
             _, at_out, at_hidden = loss_and_gradients(vectors[b], out, y, x)
@@ -161,7 +176,7 @@ def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: st
     # what the driver holds is `bound` sparse vectors, as packed bytes
     rows = [(str(r["id"]), bytes(r["counts"]), bytes(r["buckets"]), r["label"]) for r in sparse_counts(sample).collect()]
     rows.sort(key=lambda r: r[:3])  # the order of partitions doesn't matter
-    return train([(y, np.frombuffer(b, np.int32), np.frombuffer(c, np.int32)) for _, c, b, y in rows])
+    return train([(y, b, c) for _, c, b, y in rows])
 
 
 def score(docs: DataFrame, model: Model, text_col: str = "text", score_col: str = "score") -> DataFrame:
