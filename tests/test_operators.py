@@ -197,3 +197,32 @@ def test_circles_are_found(spark):
     f = spark.createDataFrame(rows, "text_id long, factor_no long, dst long, len long, src long, literal string")
     texts = spark.createDataFrame([(1, "abab"), (2, "abab"), (3, "aaaa"), (4, "")], "text_id long, text string")
     assert {r["text_id"]: r["resolves"] for r in coding.validate(f, texts).collect()} == {1: False, 2: True, 3: False, 4: True}
+
+
+def test_entropies_of_prefixes_need_no_prefix_in_a_task(spark, monkeypatch):
+    """Short and empty texts, many parts and symbols, all orders: as the entropies of the prefixes as texts; no row has a prefix."""
+    from textfactor.operators import experiments
+
+    monkeypatch.setattr(measures, "GRAM_SYMBOLS", 50)
+    monkeypatch.setattr(measures, "GRAM_ROWS", 60)
+    monkeypatch.setattr(measures, "BUCKET_SYMBOLS", 500)
+    random.seed(6)
+    for kinds in ("ab\n", "".join(map(chr, range(32, 400))) + "\U0001f600"):
+        words = ["", "a", "", "b"] + ["".join(random.choices(kinds, k=random.randint(0, 90))) for _ in range(60)]
+        t = spark.createDataFrame(list(enumerate(words)), "text_id long, text string").repartition(5)
+        for sep in ("\n", ""):
+            orders = [0, 1, 2, 5, 7]
+            got = {(r["part"], r["k"]): (r["symbols"], round(r["entropy"], 9)) for r in measures.prefix_entropies(t, (8, 2, 1), orders, sep).collect()}
+            want = {}
+            for r in experiments.prefixes(t, (8, 2, 1), sep).collect():
+                one = spark.createDataFrame([(0, r["text"])], "text_id long, text string")
+                want |= {(r["text_id"], x["k"]): (x["symbols"], round(x["entropy"], 9)) for x in measures.entropies(one, orders).collect()}
+            assert got == want
+    placed, begins, n = corpus.placed_texts(t, "", 3)
+    whole, rows = "".join(words), placed.collect()
+    assert n == len(whole) and max(len(r["body"]) for r in rows) <= 90
+    for r in rows:
+        base, tail = begins[r["part"]]
+        at = base + r["off"]
+        assert whole[at : at + len(r["body"])] == r["body"] and (tail + r["before"])[-3:] == whole[max(0, at - 3) : at]
+    assert measures.prefix_entropies(t.where("text_id < 0"), (2, 1), [0, 1]).count() == 0
