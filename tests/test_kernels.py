@@ -147,6 +147,20 @@ def test_end_aligned_phrases_have_no_bound():
         assert K.end_aligned_parse(t, m) == end_aligned_exact(t, m)
 
 
+def test_end_aligned_phrases_of_a_batch_take_few_steps():
+    """Texts of a batch as one by one; the time for a symbol is far below that of a table of all strings at phrase ends."""
+    import time
+
+    words = [copies(5, 300), np.zeros(0, np.int64), np.array([7]), copies(6, 200, 50), np.zeros(0, np.int64)]
+    t, first = K.as_batch(words)
+    assert list(K.end_aligned_parses(t, first, 2)) == [end_aligned_exact(x, 2) for x in words]
+    rng = random.Random(8)
+    text = "".join(rng.choice("etaoin shrdlu") for _ in range(60_000))
+    a = time.process_time()
+    list(K.end_aligned_parses(*K.as_batch([K.symbols_of(text[i : i + 500]) for i in range(0, len(text), 500)]), 2))
+    assert time.process_time() - a < len(text) * 15e-6
+
+
 def window_exact(t, window, min_len):
     """All places of the window are tried."""
     t, i, out = t.tolist(), 0, []
