@@ -226,3 +226,16 @@ def test_entropies_of_prefixes_need_no_prefix_in_a_task(spark, monkeypatch):
         at = base + r["off"]
         assert whole[at : at + len(r["body"])] == r["body"] and (tail + r["before"])[-3:] == whole[max(0, at - 3) : at]
     assert measures.prefix_entropies(t.where("text_id < 0"), (2, 1), [0, 1]).count() == 0
+
+
+def test_entropies_of_page_prefixes_equal_sql(spark):
+    """The pages' query, whose prefixes are cut inside of pages, against the SQL of its kind; no kernel makes a text of a prefix."""
+    import duckdb
+
+    d = "/root/testdata/sf0.001"
+    con = duckdb.connect()
+    con.sql(f"CREATE VIEW pages AS SELECT * FROM '{d}/pages.parquet' WHERE page_id < 12")
+    want = con.sql(workloads._prefix_entropy_sql(workloads.SRC["pages"], "chr(10)")).fetchall()
+    got = measures.prefix_entropies(io.read_texts(spark, d, "pages").where("text_id < 12"), (8, 4, 2, 1), [0, 1, 2, 3])
+    got = [tuple(r) for r in got.withColumn("entropy", F.round("entropy", 6)).collect()]
+    assert len(want) == 16 and sorted(got) == sorted(want)
