@@ -239,3 +239,35 @@ def test_entropies_of_page_prefixes_equal_sql(spark):
     got = measures.prefix_entropies(io.read_texts(spark, d, "pages").where("text_id < 12"), (8, 4, 2, 1), [0, 1, 2, 3])
     got = [tuple(r) for r in got.withColumn("entropy", F.round("entropy", 6)).collect()]
     assert len(want) == 16 and sorted(got) == sorted(want)
+
+
+@pytest.fixture
+def long_prefix(spark, monkeypatch):
+    """What a function of prefixes returns with the kernels, and with a kernel call's size below that of the whole text."""
+    from textfactor.operators import experiments, global_text
+
+    monkeypatch.setattr(global_text, "CELL", 64)
+    random.seed(11)
+    part = "".join(random.choices("ab", k=60))
+    words = ["", part[:40], "né \U0001f600", part[10:50] + "a" * 20, "", "fox the fox"]
+    t = spark.createDataFrame(list(enumerate(words)), "text_id long, text string")
+    whole = "\n".join(words) + "\n"
+
+    def run(f):
+        x = experiments.parted(t, (4, 1))
+        assert {r["text_id"]: r["text"] for r in x.short.collect()} == {p: whole[: len(whole) // p] for p in (1, 4)} and not x.long
+        want = f(x)
+        monkeypatch.setattr(experiments, "KERNEL_SYMBOLS", len(whole) // 4)
+        x = experiments.parted(t, (4, 1))
+        assert [r["text_id"] for r in x.short.collect()] == [4] and {p: n for p, (_, n) in x.long.items()} == {1: len(whole)}
+        assert max(len(r["body"]) for r in x.long[1][0].collect()) <= max(map(len, words)) + 1
+        return want, f(x)
+
+    return run
+
+
+def test_counts_of_long_prefixes(long_prefix):
+    from textfactor.operators import experiments
+
+    want, got = long_prefix(lambda x: sorted(map(tuple, experiments.prefix_counts(x).collect())))
+    assert len(want) == 4 and got == want
