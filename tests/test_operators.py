@@ -271,3 +271,14 @@ def test_counts_of_long_prefixes(long_prefix):
 
     want, got = long_prefix(lambda x: sorted(map(tuple, experiments.prefix_counts(x).collect())))
     assert len(want) == 4 and got == want
+
+
+def test_measures_of_long_prefixes(long_prefix):
+    from textfactor.operators import experiments
+
+    def measured(x):
+        rows = [tuple(r) for r in experiments.prefix_measures(x, "x", [2, 4], "prefixes", 1).collect()]
+        return {r[:6] for r in rows}, sorted(r for r in rows if r[5] in ("symbols", "references", "factors", "factor_ratio"))
+
+    want, got = long_prefix(measured)
+    assert len(want[1]) == 22 and got == want
