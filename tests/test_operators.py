@@ -282,3 +282,14 @@ def test_measures_of_long_prefixes(long_prefix):
 
     want, got = long_prefix(measured)
     assert len(want[1]) == 22 and got == want
+
+
+def test_decoding_of_long_prefixes(spark, long_prefix):
+    from textfactor.operators import experiments
+
+    def decoded_parts(x):
+        rows = [tuple(r) for r in experiments.decompress(spark, x, "x").collect()]
+        return {r[:6] for r in rows}, sorted(r[2] for r in rows if r[5] == "same" and r[6] == 1)
+
+    want, got = long_prefix(decoded_parts)
+    assert want[1] == [0.25, 1.0] and got == want
