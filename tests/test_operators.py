@@ -293,3 +293,18 @@ def test_decoding_of_long_prefixes(spark, long_prefix):
 
     want, got = long_prefix(decoded_parts)
     assert want[1] == [0.25, 1.0] and got == want
+
+
+def test_tables_of_past_rounds_are_dropped(spark, tmp_path, monkeypatch):
+    """Of one text's arrays the blocks, symbols and levels stay, and of the rounds of a comparison the last."""
+    from collections import Counter
+
+    monkeypatch.setattr("textfactor.plans.scratch.shared_root", lambda spark: str(tmp_path))
+    g = GlobalText(spark.createDataFrame([(1, "abaabbab" * 6), (49, "abba" * 5)], "start long, body string"))
+    left = lambda: Counter(x.name[4:] for x in (tmp_path / "textfactor").glob("global-*/*"))
+    assert len(g.levels) > 1 and left() == {"blocks": 1, "symbols": 1, "level": len(g.levels)}
+    whole = "abaabbab" * 6 + "abba" * 5
+    pairs = g.scratch.save(spark.createDataFrame([(1, 9), (2, 5), (49, 1)], "i long, j long"), "asked")
+    got = {(r["i"], r["j"]): r["n"] for r in g.common(pairs).collect()}
+    assert left()["common"] == 1
+    assert got == {(i, j): next((k for k in range(68 - max(i, j) + 1) if whole[i - 1 + k] != whole[j - 1 + k]), 68 - max(i, j) + 1) for i, j in got}
