@@ -218,3 +218,32 @@ def test_jumps_in_order_are_no_slower():
         root, rounds = K.resolve(p.copy())
         assert K.resolve_in_order(p) <= rounds <= max(0, int(K.depths(p).max()) - 1).bit_length() and not len(K.unresolved(p))
     assert K.unresolved(np.array([1, 0, 2, 0])).tolist() == [0, 1, 3]
+
+
+def test_memory_of_a_long_text(monkeypatch):
+    """Both schemes take under 140 bytes a symbol; levels in which few positions are left and pairs by pieces change no result."""
+    import tracemalloc
+
+    rng = np.random.default_rng(3)
+    part = rng.integers(97, 123, 6000)
+    t = np.concatenate([rng.integers(97, 123, 200_000), part, rng.integers(97, 123, 50_000), part, part[100:4000]]).astype(np.uint32)
+    first = np.array([0, len(t)])
+
+    def run():
+        s = K.Suffixes(t, first)
+        v = s.plcp(s.phi())
+        refs = K.rounds_factors(v, first, 2)
+        size, src = s.previous_factors()
+        return [v, *refs, size, src, K.greedy_parse(np.where(size >= 2, size, 1), first)], s.levels
+
+    monkeypatch.setattr(K, "PAIRS", 1 << 15)
+    tracemalloc.start()
+    got, levels = run()
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert peak < 140 * len(t), peak / len(t)
+    assert len(levels) > 5 and any(not isinstance(x, np.ndarray) for x in levels)
+    order = sorted(range(len(t)), key=lambda i, b=t.astype(np.uint8).tobytes(): b[i : i + 6100])
+    assert (K.Suffixes(t, first).order == order).all()
+    monkeypatch.setattr(K, "PAIRS", 1 << 22)
+    assert all((a == b).all() for a, b in zip(got, run()[0]))
