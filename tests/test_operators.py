@@ -308,3 +308,19 @@ def test_tables_of_past_rounds_are_dropped(spark, tmp_path, monkeypatch):
     got = {(r["i"], r["j"]): r["n"] for r in g.common(pairs).collect()}
     assert left()["common"] == 1
     assert got == {(i, j): next((k for k in range(68 - max(i, j) + 1) if whole[i - 1 + k] != whole[j - 1 + k]), 68 - max(i, j) + 1) for i, j in got}
+
+
+def test_sources_are_looked_up_for_factors_only(spark):
+    """No join that a factor's source takes makes the neighbours of all positions: each has the factors on one side."""
+    from textfactor.operators.global_text import GlobalText
+
+    text = "abracadabra abracadabra"
+    got = GlobalText(spark.createDataFrame([(1, text)], "start long, body string")).factors(2)
+    want = factorize.factorize(spark.createDataFrame([(0, text)], "text_id long, text string"), 2).select("dst", "len", "src")
+    assert sorted(map(tuple, got.collect())) == sorted(map(tuple, want.collect())) and want.count()
+    todo, joins = [got._jdf.queryExecution().optimizedPlan()], []
+    while todo:
+        node = todo.pop()
+        joins += [node.output().mkString(" ")] if node.nodeName() == "Join" else []
+        todo += [node.children().apply(i) for i in range(node.children().size())]
+    assert len(joins) == 2 and all("len#" in x for x in joins), joins
