@@ -324,3 +324,35 @@ def test_sources_are_looked_up_for_factors_only(spark):
         joins += [node.output().mkString(" ")] if node.nodeName() == "Join" else []
         todo += [node.children().apply(i) for i in range(node.children().size())]
     assert len(joins) == 2 and all("len#" in x for x in joins), joins
+
+
+@pytest.mark.parametrize("most", [0, 1 << 20])
+def test_ranks_and_common_prefixes_by_parts(spark, monkeypatch, most):
+    """Ranks and common prefixes of a text in many small parts are the kernels', also where a group fills several parts and windows
+    give way to levels; no round writes a row for a position before its ranks are known."""
+    from textfactor.operators import global_text, order, windows
+    from textfactor.plans.scratch import Scratch
+
+    monkeypatch.setattr(order, "PART", 16)
+    monkeypatch.setattr(windows, "WINDOW", 2)
+    monkeypatch.setattr(windows, "MOST", most)
+    wrote, save = [], Scratch.save
+    monkeypatch.setattr(Scratch, "save", lambda self, df, name, *a: (wrote.append((name, got := save(self, df, name, *a), got.count())), got)[1])
+    random.seed(5)
+    part = "".join(random.choices("ab\u00e9\U0001f600", k=60))
+    t = part + "a" * 70 + part[:40] + "".join(random.choices("ab", k=50)) + part
+    g = global_text.GlobalText(spark.createDataFrame([(i + 1, t[i : i + 23]) for i in range(0, len(t), 23)], "start long, body string"))
+    x = K.symbols_of(t)
+    s = K.Suffixes(x, np.array([0, len(x)]))
+    assert [r["pos"] - 1 for r in g.ranks.orderBy("rank").collect()] == s.order.tolist()
+    assert sorted(r["rank"] for r in g.ranks.collect()) == list(range(len(t)))
+    assert all(n <= -(-len(t) // 16) for name, _, n in wrote if name == "ranked") and len([1 for w in wrote if w[0] == "ranked"]) == len(g.levels) > 2
+    ij = [(a, b) for a in range(0, len(t), 3) for b in range(0, len(t), 7) if a != b]
+    got = {(r["i"] - 1, r["j"] - 1): r["n"] for r in g.common(spark.createDataFrame([(a + 1, b + 1) for a, b in ij], "i long, j long")).collect()}
+    assert got == dict(zip(ij, s.common(*np.array(ij).T).tolist()))
+    assert len([1 for w in wrote if w[0] == "compared"]) == (1 if most == 0 else 2) and "agreeing" in {w[0] for w in wrote}
+
+
+def test_ranks_of_an_empty_text(spark):
+    g = GlobalText(spark.createDataFrame([(1, "")], "start long, body string"))
+    assert not g.ranks.count() and not g.factors(2).count() and not g.unidirectional(2).count()
