@@ -347,6 +347,10 @@ def test_ranks_and_common_prefixes_by_parts(spark, monkeypatch, most):
     assert [r["pos"] - 1 for r in g.ranks.orderBy("rank").collect()] == s.order.tolist()
     assert sorted(r["rank"] for r in g.ranks.collect()) == list(range(len(t)))
     assert all(n <= -(-len(t) // 16) for name, _, n in wrote if name == "ranked") and len([1 for w in wrote if w[0] == "ranked"]) == len(g.levels) > 2
+    phi, v = s.phi(), s.plcp(s.phi())
+    own = [i for i in range(len(t)) if phi[i] < len(t) and (not i or not phi[i] or t[i - 1] != t[phi[i] - 1])]
+    assert sorted(map(tuple, g.irreducible().collect())) == [(i + 1, phi[i] + 1, v[i]) for i in own]
+    wrote.clear()
     ij = [(a, b) for a in range(0, len(t), 3) for b in range(0, len(t), 7) if a != b]
     got = {(r["i"] - 1, r["j"] - 1): r["n"] for r in g.common(spark.createDataFrame([(a + 1, b + 1) for a, b in ij], "i long, j long")).collect()}
     assert got == dict(zip(ij, s.common(*np.array(ij).T).tolist()))
